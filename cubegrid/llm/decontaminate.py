@@ -32,7 +32,7 @@ from cubegrid.llm.common import slices, starts_of, stored, tame_arrow, texts, wo
 
 WINDOW = 13
 BLOCK_BYTES = 4 << 20
-_INDEX = "block_id string, doc_ids array<long>, doc_words array<int>, terms array<string>, term_counts binary, positions binary"
+_INDEX = "block_id string, doc_ids array<long>, text_hashes array<long>, doc_words array<int>, terms array<string>, term_counts binary, positions binary"
 
 
 # ---- the index ----------------------------------------------------------------------------------
@@ -53,7 +53,7 @@ def _block(ids: list[int | None], rows: list[str | None]) -> dict:
 def build_index(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row per block of about ``block_bytes`` of text (one document at least)."""
     tame_arrow(docs.sparkSession)
-    narrow = docs.select(F.col(doc_id).cast("long").alias("id"), F.col(text).alias("text"))
+    narrow = docs.select(F.col(doc_id).cast("long").alias("id"), F.col(text).alias("text"), F.xxhash64(text).alias("h"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in slices(batches, "text", block_bytes):
@@ -68,12 +68,13 @@ def build_index(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", blo
                 [
                     pa.array([name]),
                     pa.array([b["doc_ids"]], pa.list_(pa.int64())),
+                    pa.array([part.column("h").to_pylist()], pa.list_(pa.int64())),
                     pa.array([b["doc_words"]], pa.list_(pa.int32())),
                     pa.array([b["terms"]], pa.list_(pa.string())),
                     pa.array([b["counts"].tobytes()]),
                     pa.array([gaps.tobytes()]),
                 ],
-                names=["block_id", "doc_ids", "doc_words", "terms", "term_counts", "positions"],
+                names=["block_id", "doc_ids", "text_hashes", "doc_words", "terms", "term_counts", "positions"],
             )
 
     return narrow.mapInArrow(run, _INDEX)
@@ -83,7 +84,7 @@ class Postings:
     """A block of the index in memory."""
 
     def __init__(self, row: dict):
-        self.doc_ids, self.doc_words = row["doc_ids"], np.asarray(row["doc_words"], np.int64)
+        self.doc_ids, self.hashes, self.doc_words = row["doc_ids"], row["text_hashes"], np.asarray(row["doc_words"], np.int64)
         self.counts = np.frombuffer(row["term_counts"], np.int32).astype(np.int64)
         self.first = starts_of(self.counts)
         gaps = np.frombuffer(row["positions"], np.int32).astype(np.int64)
@@ -186,7 +187,7 @@ def _window_blocks(benchmark: DataFrame, item: str, text: str, width: int, windo
         yield block()
 
 
-_HITS = "doc_id long, seq string, n_words long, spans binary, items array<string>"
+_HITS = "doc_id long, text_hash long, seq string, n_words long, spans binary, items array<string>"
 
 
 def phrase_hits(index: DataFrame, block: tuple, only_hit: bool = False) -> DataFrame:
@@ -213,15 +214,16 @@ def phrase_hits(index: DataFrame, block: tuple, only_hit: bool = False) -> DataF
                 yield pa.RecordBatch.from_arrays(
                     [
                         pa.array([p.doc_ids[d] for d in docs], pa.int64()),
+                        pa.array([p.hashes[d] for d in docs], pa.int64()),
                         pa.array([f"{row['block_id']}:{d}" for d in docs], pa.string()),
                         pa.array([int(p.doc_words[d]) for d in docs], pa.int64()),
                         pa.array([_merged(spans[d]).tobytes() if d in spans else b"" for d in docs], pa.binary()),
                         pa.array([sorted(items[d]) if d in items else [] for d in docs], pa.list_(pa.string())),
                     ],
-                    names=["doc_id", "seq", "n_words", "spans", "items"],
+                    names=["doc_id", "text_hash", "seq", "n_words", "spans", "items"],
                 )
 
-    return index.select("block_id", "doc_ids", "doc_words", "terms", "term_counts", "positions").mapInArrow(run, _HITS)
+    return index.select("block_id", "doc_ids", "text_hashes", "doc_words", "terms", "term_counts", "positions").mapInArrow(run, _HITS)
 
 
 def _merged(spans: list[tuple[int, int]]) -> np.ndarray:
@@ -278,6 +280,7 @@ def _digest(spark_df: DataFrame) -> DataFrame:
         F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"),
         ((F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words"))).alias("contaminated"),
         "spans",
+        "text_hash",
     )
 
 
@@ -291,13 +294,13 @@ def _spans_column(hits: DataFrame) -> DataFrame:
             flat = np.concatenate(packed) if len(packed) else np.zeros((0, 2), np.int32)
             entry = pa.StructArray.from_arrays([pa.array(flat[:, 0]), pa.array(flat[:, 1])], names=["start", "stop"])
             spans = pa.ListArray.from_arrays(pa.array(starts_of(lens).astype(np.int32)), entry)
-            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in ("doc_id", "seq", "n_words")], spans, b.column("items")], names=["doc_id", "seq", "n_words", "spans", "items"])
+            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in ("doc_id", "text_hash", "seq", "n_words")], spans, b.column("items")], names=["doc_id", "text_hash", "seq", "n_words", "spans", "items"])
 
-    return hits.mapInArrow(run, "doc_id long, seq string, n_words long, spans array<struct<start:int,stop:int>>, items array<string>")
+    return hits.mapInArrow(run, "doc_id long, text_hash long, seq string, n_words long, spans array<struct<start:int,stop:int>>, items array<string>")
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc_id: str = "doc_id", item: str = "item_id", item_text: str = "text", width: int = WINDOW, window_block: int = 200_000) -> DataFrame:
-    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, spans of every document."""
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, spans, text_hash of every document."""
     spark = docs.sparkSession
     index = stored(build_index(docs, text, doc_id), "postings")
     tame_arrow(spark)
@@ -316,9 +319,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc
     def unite(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             spans = [_merged([tuple(s) for x in packed for s in np.frombuffer(x, np.int32).reshape(-1, 2).tolist()]).astype(np.int32).tobytes() for packed in b.column("packed").to_pylist()]
-            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in ("doc_id", "seq", "n_words")], pa.array(spans, pa.binary()), b.column("items")], names=["doc_id", "seq", "n_words", "spans", "items"])
+            yield pa.RecordBatch.from_arrays([*[b.column(c) for c in ("doc_id", "text_hash", "seq", "n_words")], pa.array(spans, pa.binary()), b.column("items")], names=["doc_id", "text_hash", "seq", "n_words", "spans", "items"])
 
-    index_ids = hits.groupBy("doc_id", "seq", "n_words").agg(F.collect_list("spans").alias("packed"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
+    index_ids = hits.groupBy("doc_id", "text_hash", "seq", "n_words").agg(F.collect_list("spans").alias("packed"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
     return _digest(_spans_column(index_ids.mapInArrow(unite, _HITS)))
 
 
@@ -326,4 +329,4 @@ def op4_decontamination(spark, sf_dir: str) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated of every document."""
     from cubegrid.llm.common import table
 
-    return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("spans")
+    return contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")).drop("spans", "text_hash")

@@ -3,13 +3,23 @@
 from __future__ import annotations
 
 from cubegrid.llm.decontaminate import op4_decontamination
+from cubegrid.llm.gif import op6_gif_media
 from cubegrid.llm.language_id import op10_language_id
+from cubegrid.llm.line_dedup import op7_line_dedup
+from cubegrid.llm.mixing import op1_mixing
+from cubegrid.llm.near_dup import op2_near_duplicates
 from cubegrid.llm.quality import op9_quality
 from cubegrid.llm.token_counts import op5_token_counts
+from cubegrid.llm.warc import op3_warc
 
 QUERIES = {
+    "op1_mixing": op1_mixing,
+    "op2_near_duplicates": op2_near_duplicates,
+    "op3_warc": op3_warc,
     "op4_decontamination": op4_decontamination,
     "op5_token_counts": op5_token_counts,
+    "op6_gif_media": op6_gif_media,
+    "op7_line_dedup": op7_line_dedup,
     "op9_quality": op9_quality,
     "op10_language_id": op10_language_id,
 }
