@@ -9,6 +9,7 @@ from cubegrid.llm.line_dedup import op7_line_dedup
 from cubegrid.llm.mixing import op1_mixing
 from cubegrid.llm.near_dup import op2_near_duplicates
 from cubegrid.llm.quality import op9_quality
+from cubegrid.llm.substring_dedup import op8_substring_dedup
 from cubegrid.llm.token_counts import op5_token_counts
 from cubegrid.llm.warc import op3_warc
 
@@ -20,6 +21,7 @@ QUERIES = {
     "op5_token_counts": op5_token_counts,
     "op6_gif_media": op6_gif_media,
     "op7_line_dedup": op7_line_dedup,
+    "op8_substring_dedup": op8_substring_dedup,
     "op9_quality": op9_quality,
     "op10_language_id": op10_language_id,
 }
