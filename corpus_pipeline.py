@@ -20,17 +20,17 @@ def _columns(docs: DataFrame) -> list:
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a recognisable language go: null or letterless text, or an undecided score."""
     model = language_id.fit(docs, ~language_id.is_held_out(F.col("doc_id")))
-    seen = language_id.predict(docs, model, keep=tuple(docs.columns), text="text")
+    seen = language_id.predict(docs, model, keep=tuple(docs.columns), names=("__lang", "__lang_score"))
     if not model.langs:  # nothing to learn from: only what has no letter is rejected
         return docs.where(F.col("text").rlike(r"\p{L}"))
-    return seen.where((F.col("lang_pred") != "und") & (F.col("score") >= 0.5)).select(*_columns(docs))
+    return seen.where((F.col("__lang") != "und") & (F.col("__lang_score") >= 0.5)).select(*_columns(docs))
 
 
 def remove_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Later copies of repeated line runs are cut out; a document left without any line goes."""
-    out = line_dedup.dedup_lines(docs)
-    out = out.where("n_removed = 0 or n_removed < n_lines")
-    changed = F.when(F.col("n_removed") > 0, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))
+    out = line_dedup.dedup_lines(docs, counts=("__lines", "__removed", "__runs"))
+    out = out.where("__removed = 0 or __removed < __lines")
+    changed = F.when(F.col("__removed") > 0, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))
     return out.withColumn("n_chars", changed).select(*_columns(docs))
 
 

@@ -21,17 +21,15 @@ order. Columns not named are carried along; a column named like one added is rep
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from cubegrid.llm.common import stored, tame_arrow
+from cubegrid.llm.common import stored
 
 _DOC = ["d", "h"]
+#: Places to delete are kept in parts of so many lines, so that testing a line stays short in very long texts.
+_CHUNK = 1024
 
 
 def _pos() -> Column:
@@ -97,62 +95,43 @@ def suffix_array(lines: DataFrame, longest: int) -> DataFrame:
 
 
 def later_copies(docs: DataFrame, text: str, doc_id: str, min_lines: int, long_words: int) -> DataFrame:
-    """(d, h, gone): the places of lines to delete, per document that has any."""
+    """Per document with lines to delete: d, h, their places in lists of a fixed span each, runs, n."""
     lines = line_table(docs, text, doc_id)
     single, windows = repeated_windows(lines, min_lines)
     late = F.col("first") < _pos()
-    hits = single.where(late & (F.col("words") >= long_words)).select("d", "h", "at")
+    hits = single.where(late & (F.col("words") >= long_words)).select("d", "h", "i", "at")
     if min_lines > 1:
         inside = windows.where(late).select("d", "h", F.explode(F.sequence(F.col("i"), F.col("i") + (min_lines - 1))).alias("i"))
         places = single.select(F.col("d").alias("d2"), F.col("h").alias("h2"), F.col("i").alias("i2"), "at")
-        hits = hits.unionByName(inside.join(places, F.col("d").eqNullSafe(F.col("d2")) & (F.col("h") == F.col("h2")) & (F.col("i") == F.col("i2"))).select("d", "h", "at"))
+        hits = hits.unionByName(inside.join(places, F.col("d").eqNullSafe(F.col("d2")) & (F.col("h") == F.col("h2")) & (F.col("i") == F.col("i2"))).select("d", "h", "i", "at"))
     else:
-        hits = hits.unionByName(single.where(late).select("d", "h", "at"))
-    return hits.groupBy("d", "h").agg(F.collect_set("at").alias("gone"))
+        hits = hits.unionByName(single.where(late).select("d", "h", "i", "at"))
+    before = F.lag("i").over(Window.partitionBy(*_DOC).orderBy("i"))
+    hits = hits.distinct().withColumn("begins", F.coalesce(before < F.col("i") - 1, F.lit(True)).cast("long"))
+    parts = hits.groupBy("d", "h", F.expr(f"at div {_CHUNK}").cast("int").alias("part")).agg(F.collect_list("at").alias("at"), F.sum("begins").alias("runs"), F.count("*").alias("n"))
+    gone = F.map_from_entries(F.collect_list(F.struct("part", "at")))
+    return parts.groupBy("d", "h").agg(gone.alias("gone"), F.sum("runs").alias("runs"), F.sum("n").alias("n"))
 
 
-def dedup_lines(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", min_lines: int = 2, long_words: int = 8) -> DataFrame:
-    """All rows and columns, ``text`` without later copies, plus n_lines, n_removed and n_runs."""
-    tame_arrow(docs.sparkSession)
+def dedup_lines(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", min_lines: int = 2, long_words: int = 8, counts: tuple[str, str, str] = ("n_lines", "n_removed", "n_runs")) -> DataFrame:
+    """All rows and columns, ``text`` without later copies, plus three counts (replacing columns so named)."""
     gone = later_copies(docs, text, doc_id, min_lines, long_words)
-    rows = docs.drop("n_lines", "n_removed", "n_runs")
-    keyed = rows.withColumn("__h", F.xxhash64(text))
-    joined = keyed.join(gone, F.col(doc_id).cast("long").eqNullSafe(F.col("d")) & (F.col("__h") == F.col("h")), "left")
-    names = rows.columns
-    flat = joined.select(*[F.col(f"`{c}`") for c in names], F.col("gone").alias("__gone"))
-    schema = rows.schema
-    for c in ("n_lines", "n_removed", "n_runs"):
-        schema = schema.add(c, "long")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            counts = []
-            out = []
-            for t, g in zip(b.column(text).to_pylist(), b.column("__gone").to_pylist(), strict=True):
-                kept, n, r, k = without_lines(t, g)
-                out.append(kept)
-                counts.append((n, r, k))
-            held = [pa.array(out, b.schema.field(c).type) if c == text else b.column(c) for c in names]
-            yield pa.RecordBatch.from_arrays([*held, *[pa.array([x[j] for x in counts], pa.int64()) for j in range(3)]], names=[*names, "n_lines", "n_removed", "n_runs"])
-
-    return flat.mapInArrow(run, schema)
-
-
-def without_lines(text: str | None, gone: list[int] | None) -> tuple[str | None, int, int, int]:
-    """(text without the lines at ``gone``, non-blank lines, removed lines, removed runs)."""
-    if text is None:
-        return None, 0, 0, 0
-    lines = text.split("\n")
-    filled = [bool(x.strip(" ")) for x in lines]
-    n = sum(filled)
-    if not gone:
-        return text, n, 0, 0
-    keep = np.ones(len(lines), bool)
-    keep[gone] = False
-    real = np.flatnonzero(filled)
-    removed = ~keep[real]
-    runs = int(removed[:1].sum() + (removed[1:] & ~removed[:-1]).sum())
-    return "\n".join([x for x, k in zip(lines, keep, strict=True) if k]), n, int(removed.sum()), runs
+    rows = docs.drop(*counts)
+    body = F.col(f"`{text}`")
+    keyed = rows.withColumn("__h", F.xxhash64(body)).withColumn("__d", F.col(f"`{doc_id}`").cast("long"))
+    gone = gone.select(F.col("d").alias("__gd"), F.col("h").alias("__gh"), F.col("gone").alias("__gone"), F.col("runs").alias("__runs"), F.col("n").alias("__n"))
+    joined = keyed.join(gone, F.col("__d").eqNullSafe(F.col("__gd")) & (F.col("__h") == F.col("__gh")), "left")
+    lines = F.split(body, "\n", -1)
+    # a line looks into the part of the list where its own number would stand
+    kept = F.array_join(F.filter(lines, lambda x, i: ~F.coalesce(F.array_contains(F.element_at("__gone", F.call_function("div", i, F.lit(_CHUNK)).cast("int")), i), F.lit(False))), "\n")
+    cut = F.when(F.col("__gone").isNull(), body).otherwise(kept)
+    n_lines = F.when(body.isNull(), 0).otherwise(F.size(F.filter(lines, lambda x: F.trim(x) != "")))
+    return joined.select(
+        *[cut.alias(c) if c == text else F.col(f"`{c}`") for c in rows.columns],
+        n_lines.cast("long").alias(counts[0]),
+        F.coalesce("__n", F.lit(0)).cast("long").alias(counts[1]),
+        F.coalesce("__runs", F.lit(0)).cast("long").alias(counts[2]),
+    )
 
 
 def op7_line_dedup(spark, sf_dir: str) -> DataFrame:
