@@ -25,6 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, LongType
 
 from cubegrid.llm.common import slices, stored, tame_arrow
 
@@ -349,7 +350,7 @@ def decode_frames(media: DataFrame, column: str = "media", keep: tuple[str, ...]
     schema = narrow.drop("__media").schema
     for n in names:
         schema = schema.add(n, "long")
-    schema = schema.add("histogram", "array<long>")
+    schema = schema.add("histogram", ArrayType(LongType()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in slices(batches, "__media"):

@@ -141,13 +141,13 @@ def fit(docs: DataFrame, where: Column, text: str = "text", lang: str = "lang",
     return LanguageModel(langs, logp.astype(np.float32), np.log(n / n.sum()))
 
 
-def predict(docs: DataFrame, model: LanguageModel, text: str = "text", keep: tuple[str, ...] = ("doc_id",), buckets: int = BUCKETS) -> DataFrame:
-    """The columns in ``keep`` plus lang_pred and score, one row per row of ``docs``; no shuffle."""
+def predict(docs: DataFrame, model: LanguageModel, text: str = "text", keep: tuple[str, ...] = ("doc_id",), buckets: int = BUCKETS, names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """The columns in ``keep`` plus the language and its score, one row per row of ``docs``; no shuffle."""
     spark = docs.sparkSession
     tame_arrow(spark)
     shared = spark.sparkContext.broadcast(model)
-    narrow = docs.select(*[F.col(k) for k in keep], F.col(text).alias("__text"))
-    schema = narrow.drop("__text").schema.add("lang_pred", "string").add("score", "double")
+    narrow = docs.select(*[F.col(f"`{k}`") for k in keep], F.col(text).alias("__text"))
+    schema = narrow.drop("__text").schema.add(names[0], "string").add(names[1], "double")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
@@ -155,7 +155,7 @@ def predict(docs: DataFrame, model: LanguageModel, text: str = "text", keep: tup
             rows = texts(part, "__text")
             langs, score = score_texts(rows, m, buckets)
             held = [part.column(i) for i in range(len(keep))]
-            yield pa.RecordBatch.from_arrays([*held, pa.array(langs, pa.string()), pa.array(score)], names=[*keep, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*held, pa.array(langs, pa.string()), pa.array(score)], names=[*keep, *names])
 
     return narrow.mapInArrow(run, schema)
 

@@ -271,16 +271,17 @@ def join(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", threshold:
     labelled = reps.join(classes.select(F.col("u").alias("key"), F.col("v").alias("root")), "key", "left").withColumn("root", F.coalesce("root", "key"))
     roots = labelled.groupBy("root").agg(F.min("first").alias("class_first"))
     table = labelled.join(roots, "root").join(counted, "key", "left").select("key", "root", "class_first", "copies", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("links"))
-    out = signed.select("d", "h", "key").join(table, "key")
+    # written, so that the join of all rows has plain shuffles on both sides and Spark may split a key with many copies
+    out = signed.select("d", "h", "key").join(stored(table, "classes"), "key")
     return out.select("d", "h", F.col("class_first.d").alias("class_id"), F.col("copies").alias("n_copies"), F.col("links").alias("n_links"), F.col("root").alias("class_key"), (F.struct("d", "h") == F.col("class_first")).alias("is_first"))
 
 
 def drop_near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **options) -> DataFrame:
     """One row of each class (the one with the least id), with the columns of ``docs``."""
-    firsts = join(docs, text, doc_id, **options).where("is_first or (h is null and d is null)").select("d", "h", "class_key").dropDuplicates(["class_key"])
+    firsts = join(docs, text, doc_id, **options).where("is_first").select(F.col("d").alias("__fd"), F.col("h").alias("__fh"), F.col("class_key").alias("__class")).dropDuplicates(["__class"])
     keyed = docs.withColumn("__h", F.xxhash64(text))
-    kept = keyed.join(firsts, F.col(doc_id).cast("long").eqNullSafe(F.col("d")) & (F.col("__h") == F.col("h")))
-    return kept.dropDuplicates(["class_key"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    kept = keyed.join(firsts, F.col(f"`{doc_id}`").cast("long").eqNullSafe(F.col("__fd")) & (F.col("__h") == F.col("__fh")))
+    return kept.dropDuplicates(["__class"]).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op2_near_duplicates(spark, sf_dir: str) -> DataFrame:
