@@ -206,8 +206,9 @@ def test_plan_is_honest_and_pushed_down(spark, grid):
     plan = grid.plan(q, headers=False)
     text = plan.explain()
     assert "PushedFilters" in text and "g_u" in text.split("PushedFilters")[1] and "CartesianProduct" not in text
-    keys = grid.data().join(plan.cells.select(*POLICY.columns).distinct(), POLICY.columns, "left_semi")
-    assert keys.count() == plan.records_read().first()[0]
+    data, keys = grid.data(), plan.cells.select(*[F.col(c).alias(f"k_{c}") for c in POLICY.columns]).distinct()
+    same = [data[c].eqNullSafe(keys[f"k_{c}"]) for c in POLICY.columns]
+    assert data.join(keys, same[0] & same[1] & same[2] & same[3], "left_semi").count() == plan.records_read().first()[0]
     foot = measures.scan_footprint(plan.run())
     assert foot["rows"] >= 0 and measures.scan_metrics(spark, f"{grid.path}/data", None)["files"] >= 3
     cost = measures.estimate(plan).first()
