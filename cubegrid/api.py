@@ -60,13 +60,16 @@ class GridTable:
         target = f"{self.path}/catalog/gen={generation}/batch={batch_id}"
         fs.delete(self.spark, target)
         entries.sort(*self.policy.columns).write.parquet(target)
+        self.meta["entries_schema"] = entries.schema.jsonValue()  # known, so readers open no footer for it
 
     def _add(self, df: DataFrame, batch_id: int, files: int | None, instead_of: tuple[int, ...] = ()) -> None:
         target = f"{self.path}/data/batch={batch_id}"
         fs.delete(self.spark, target)  # what a failed attempt may have left
         reorganise(df, self.policy, target, files, self.meta["layout"], self.meta["salt"], self.meta["compression"], self.meta["row_group_bytes"])
         self._write_entries(batch_id, self.meta["generation"])
-        self._commit(batches=sorted({*self.meta["batches"], batch_id} - set(instead_of)))
+        counts = {k: v for k, v in self.meta.get("files", {}).items() if int(k) not in instead_of}
+        counts[str(batch_id)] = len(fs.list_files(self.spark, target))
+        self._commit(batches=sorted({*self.meta["batches"], batch_id} - set(instead_of)), files=counts)
 
     def append(self, df: DataFrame, batch_id: int, files: int | None = None, verify: bool = True) -> bool:
         """Add a batch; nothing stored is touched. False if the batch is already in (a retry)."""
@@ -128,7 +131,11 @@ class GridTable:
     def entries(self) -> DataFrame:
         """The catalog: one row per cell and segment."""
         base = f"{self.path}/catalog/gen={self.meta['generation']}"
-        return self.spark.read.parquet(*[f"{base}/batch={b}" for b in self.meta["batches"]])
+        return self.spark.read.schema(StructType.fromJson(self.meta["entries_schema"])).parquet(*[f"{base}/batch={b}" for b in self.meta["batches"]])
+
+    @property
+    def file_count(self) -> int:
+        return sum(self.meta["files"].values())
 
     def cells(self) -> DataFrame:
         """Entries merged to one row per cell: coordinates, n and finished headers."""

@@ -108,4 +108,7 @@ class Agg:
             return F.count_distinct(F.expr(self.expr)).alias(self.alias)
         if self.kind == "approx_distinct":
             return F.coalesce(F.hll_sketch_estimate(F.hll_sketch_agg(F.expr(self.expr))), F.lit(0)).alias(self.alias)
+        if self.kind in CUSTOM:
+            h = CUSTOM[self.kind](self.expr, self.alias)
+            return h.finish(h.partial()).alias(self.alias)
         return getattr(F, self.kind)(F.expr(self.expr)).alias(self.alias)

@@ -8,6 +8,8 @@ from pyspark.sql.window import Window
 
 #: Up to so many file names are handed to the reader by the driver; beyond, statistics in the files prune.
 MAX_DRIVER_FILES = 10_000
+#: A grid of so few files is opened whole: their footers cost less than a job that lists the catalog.
+FEW_FILES = 16
 
 
 def choose_files(cells: DataFrame, most: int = MAX_DRIVER_FILES) -> list[str] | None:
@@ -37,7 +39,7 @@ def scan_cells(plan) -> DataFrame:
     if box.is_empty:
         return grid.data().where(F.lit(False))
     cells = plan.read_cells()
-    files = choose_files(cells)
+    files = None if grid.file_count <= FEW_FILES else choose_files(cells)
     if files is not None and not files:
         return grid.data().where(F.lit(False))
     rows = grid.data(files)
