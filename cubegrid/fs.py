@@ -63,10 +63,23 @@ def write_text(spark: SparkSession, path: str, text: str) -> None:
             raise OSError(f"cannot publish {path}")
 
 
-def scratch(spark: SparkSession, name: str) -> str:
-    """A new folder path in the shared checkpoint folder; a local one only where none is set."""
+_OWN_ROOTS: dict[str, str] = {}
+
+
+def shared_root(spark: SparkSession) -> str:
+    """The folder that driver and executors share, as the session names it.
+
+    Only where ``spark.checkpoint.dir`` is unset (one machine, tests) a temporary folder stands in.
+    """
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        root = f"file://{tempfile.mkdtemp(prefix='cubegrid-')}"
-        spark.conf.set("spark.checkpoint.dir", root)
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
+        app = spark.sparkContext.applicationId
+        if app not in _OWN_ROOTS:
+            _OWN_ROOTS[app] = f"file://{tempfile.mkdtemp(prefix='cubegrid-')}"
+        root = _OWN_ROOTS[app]
+    return root.rstrip("/")
+
+
+def scratch(spark: SparkSession, name: str) -> str:
+    """A new folder path in the shared folder."""
+    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex[:12]}"
