@@ -30,7 +30,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from cubegrid.llm.common import drop_path, shared_path, slices, tame_arrow
+from cubegrid.fs import delete
+from cubegrid.llm.common import shared_path, slices, tame_arrow
 
 _NAMESPACE = uuid.UUID("5f1c1f86-6a0c-5d0e-9d4e-6c1a54b7a0c1")
 _MANIFEST = "shard int, seq int, temp string, name string, records long, bytes long, sha256 string"
@@ -181,8 +182,8 @@ def write(pages: DataFrame, path: str, page_id: str = "page_id", url: str = "url
 
     manifest = f"{path}/_manifest"
     spark.read.schema(_MANIFEST).parquet(reports).mapInArrow(publish, _MANIFEST).select("shard", "seq", F.concat(F.lit(f"{path}/"), "name").alias("path"), "records", "bytes", "sha256").write.parquet(manifest)
-    drop_path(spark, temp)
-    drop_path(spark, reports)
+    delete(spark, temp)
+    delete(spark, reports)
     return spark.read.parquet(manifest)
 
 
