@@ -15,7 +15,6 @@ from cubegrid.sources.loaders import table
 query = Registry()
 
 
-@F.udtf(returnType="g_a long, g_b long, is_inner boolean")
 class CellsInBox:
     """Cells of a two-dimensional box of ticks, for looking at a policy: origins, widths, half-open ranges."""
 
@@ -26,7 +25,6 @@ class CellsInBox:
                 yield a, b, inner
 
 
-@F.arrow_udf("double")
 def arrow_clip(value: pa.Array, most: pa.Array) -> pa.Array:
     """Vectorised scalar function; the engine's own paths use none."""
     return pc.min_element_wise(value, most)
@@ -43,12 +41,12 @@ CUSTOM["sum_squares"] = sum_of_squares
 @query("fn_udtf_cells", "SELECT a AS g_a, b AS g_b, a = 2 AND b = 1 AS is_inner FROM (SELECT unnest([1, 2, 3]) AS a), (SELECT unnest([0, 1, 2]) AS b)")
 def fn_udtf_cells(s, d) -> DataFrame:
     """Nine cells and one inner, as in the worked geometry."""
-    return CellsInBox(*[F.lit(x) for x in (1, 3, 5, 12, 11, 2, 12, 16)])
+    return F.udtf(CellsInBox, returnType="g_a long, g_b long, is_inner boolean")(*[F.lit(x) for x in (1, 3, 5, 12, 11, 2, 12, 16)])
 
 
 @query("fn_arrow_udf", "SELECT c_custkey, least(c_acctbal, 1000.0) AS balance FROM customer")
 def fn_arrow_udf(s, d) -> DataFrame:
-    return table(s, d, "customer").select("c_custkey", arrow_clip(F.col("c_acctbal"), F.lit(1000.0)).alias("balance"))
+    return table(s, d, "customer").select("c_custkey", F.arrow_udf(arrow_clip, "double")(F.col("c_acctbal"), F.lit(1000.0)).alias("balance"))
 
 
 @query("custom_header_variance", "SELECT CAST(sum(CAST(p AS DECIMAL(18,2)) * CAST(p AS DECIMAL(18,2))) AS DOUBLE) AS squares, CAST(sum(CAST(p AS DECIMAL(18,2))) AS DOUBLE) AS total, count(*) AS n FROM (SELECT value AS p, user_id FROM events) WHERE user_id >= 20 AND user_id < 77")
