@@ -121,7 +121,7 @@ def _needed(grid, query: GridQuery) -> list[Header]:
     return [h for h in grid.headers if h.key in wanted]
 
 
-def _finished(query: GridQuery, needed: list[Header], merged: dict[str, Column]) -> list[Column]:
+def _finished(grid, query: GridQuery, needed: list[Header], merged: dict[str, Column]) -> list[Column]:
     by_key = {h.key: h for h in needed}
     out = []
     for a in query.aggs:
@@ -130,8 +130,9 @@ def _finished(query: GridQuery, needed: list[Header], merged: dict[str, Column])
             out.append(F.coalesce(merged["n"], F.lit(0)).cast("long").alias(a.alias))
         elif a.kind == "avg":
             s, c = (merged[by_key[p].column] for p in parts)
-            # nullif is no condition of its own: an empty answer is NULL, as SQL has it
-            out.append(F.try_divide(s, c).alias(a.alias))
+            # of the type that avg over rows has; an empty answer is NULL, as SQL has it
+            kind = grid.data().agg(F.avg(F.expr(a.expr))).schema[0].dataType
+            out.append(F.try_divide(s, c).cast(kind).alias(a.alias))
         else:
             h = by_key[parts[0]]
             out.append(h.finish(merged[h.column]).alias(a.alias))
@@ -150,15 +151,15 @@ def _merge(grid, query: GridQuery, parts: list[tuple[PredicateBox, DataFrame]],
         rows = scan_cells(plan)
         partial = [F.count("*").alias("n"), *[h.partial().alias(h.column) for h in needed]]
         if group:
-            key = [_group_value(grid, g) for g in group]
-            pieces.append(inner.groupBy(*key).agg(*[merges[n](F.col(n)).alias(n) for n in names]))
+            pieces.append(inner.select(*[_group_value(grid, g) for g in group], *names))
             pieces.append(rows.groupBy(*[_row_value(grid, g) for g in group]).agg(*partial))
         else:
-            pieces.append(inner.agg(*[merges[n](F.col(n)).alias(n) for n in names]))
+            # entries join the final merge as they are: its map side already combines them
+            pieces.append(inner.select(*names))
             pieces.append(rows.agg(*partial))
     union = reduce(DataFrame.unionByName, pieces)
     merged = {n: merges[n](F.col(n)) for n in names}
-    outs = _finished(query, needed, merged)
+    outs = _finished(grid, query, needed, merged)
     if group:
         return union.groupBy(*group).agg(F.sum("n").alias("__rows"), *outs).where("__rows > 0").drop("__rows")
     return union.agg(*outs)
