@@ -122,7 +122,7 @@ def plan(blocks: dict[str, int], weights: dict[str, float], cycle: int) -> Sched
     return out
 
 
-def mix(docs: DataFrame, weights: dict[str, float] | None = None, source: str = "source", doc_id: str = "doc_id", text: str = "text", block_docs: int = 8, cycle: int = 2048, group_rows: int = 4096, temper: float = 0.5, seed: int = 1) -> DataFrame:
+def mix(docs: DataFrame, weights: dict[str, float] | None = None, source: str = "source", doc_id: str = "doc_id", text: str = "text", block_docs: int = 8, cycle: int = 2048, group_rows: int = 1024, temper: float = 0.5, seed: int = 1) -> DataFrame:
     """All rows with mix_block, mix_slot, mix_release, mix_deadline, mix_phase and mix_rank.
 
     Without ``weights``, a source weighs its number of documents to the power ``temper``; sources
