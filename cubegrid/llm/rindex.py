@@ -13,7 +13,7 @@ from cubegrid.llm.common import starts_of
 
 
 def _ranks(values: np.ndarray) -> np.ndarray:
-    order = np.argsort(values, kind="stable")
+    order = np.argsort(values)  # equal values get equal ranks, whatever their order
     step = np.ones(len(values), np.int64)
     step[0] = 0
     step[1:] = np.diff(values[order]) != 0
@@ -46,7 +46,8 @@ class RunLengthIndex:
                     break
             rank = _ranks(rank * (n + 1) + self._ahead(rank, depth))
             depth *= 2
-        suffix = np.argsort(rank, kind="stable")
+        suffix = np.empty(n, np.int64)
+        suffix[rank] = np.arange(n)
         self.n = n
         # the transform, its runs, and the number of smaller characters
         last = np.concatenate([[0], code[:-1]])[suffix]

@@ -8,8 +8,8 @@ The corpus is too large for one index, so equal strings are first brought togeth
    it, and a stretch is a tenth as many records as strings. Blocks send distinct stretches only.
 2. Per bucket of minimizers, a stretch seen in a smaller document is settled as a whole. What is
    left is a minimizer with several different stretches: they overlap in part.
-3. Those stretches are fetched, cut once more by a longer minimizer (so a very frequent one is
-   spread), and indexed: run-compressed transform, samples at run ends, matching statistics of
+3. Those stretches are fetched (where very many share a minimizer, they are cut once more by a
+   longer one, which spreads them) and indexed: run-compressed transform, samples at run ends, matching statistics of
    every stretch streamed against it, and the least document of each matched string located from
    the samples.
 4. Each block removes what is settled.
@@ -31,6 +31,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -39,6 +40,8 @@ from cubegrid.llm.rindex import RunLengthIndex
 
 WIDTH, SHORT, LONG = 50, 24, 40
 BLOCK_BYTES = 1 << 20
+PORTION = 1 << 16
+CROWD = 4096
 _BLOCKS = "block long, doc_ids array<long>, lens array<long>, body binary"
 _REPLY = "block long, kind int, bucket int, body binary"
 
@@ -68,14 +71,30 @@ def gram_hashes(data: bytes, k: int) -> np.ndarray:
 
 
 def stretches(data: bytes, bounds: np.ndarray, width: int, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(start, strings, text number, minimizer hash) of every stretch of the texts in ``data``."""
+    """(start, strings, text number, minimizer hash) of every stretch of the texts in ``data``.
+
+    Texts are taken in portions that fit the processor's cache.
+    """
+    cuts = np.flatnonzero(np.diff(bounds[1:] // PORTION, prepend=0)) if len(bounds) > 1 else np.zeros(0, np.int64)
+    edges = np.unique(np.concatenate([[0], cuts, [len(bounds) - 1]]))
+    parts = []
+    for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+        lo, hi = int(bounds[a]), int(bounds[b])
+        start, count, text, m = _stretches(data[lo:hi], bounds[a : b + 1] - lo, width, k)
+        parts.append((start + lo, count, text + a, m))
+    none = np.zeros(0, np.int64)
+    return tuple(map(np.concatenate, zip(*parts, strict=True))) if parts else (none, none, none, np.zeros(0, np.uint64))
+
+
+def _stretches(data: bytes, bounds: np.ndarray, width: int, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     lens = np.diff(bounds)
     none = np.zeros(0, np.int64)
-    if not len(lens) or lens.max(initial=0) < width:
+    if not len(lens) or lens.max() < width:
         return none, none, none, np.zeros(0, np.uint64)
     hashes = gram_hashes(data, k)
     low = np.uint64((1 << 31) - 1)
-    least = (hashes & ~low) | np.arange(len(hashes), dtype=np.uint64)
+    least = hashes & ~low
+    least |= np.arange(len(hashes), dtype=np.uint64)
     span, have = width - k + 1, 1
     while 2 * have <= span:
         least = np.minimum(least[:-have], least[have:])
@@ -83,41 +102,59 @@ def stretches(data: bytes, bounds: np.ndarray, width: int, k: int) -> tuple[np.n
     if have < span:
         gap = span - have
         least = np.minimum(least[:-gap], least[gap:])
-    place = (least & low).astype(np.int64)  # of the minimizer of the string at each position
-    # strings lie within a text
-    text = np.repeat(np.arange(len(lens)), np.maximum(lens - width + 1, 0))
-    own = np.arange(len(text)) - np.repeat(starts_of(np.maximum(lens - width + 1, 0))[:-1], np.maximum(lens - width + 1, 0))
-    at = bounds[:-1][text] + own
-    chosen = place[at]
-    cut = np.flatnonzero(np.concatenate([[True], (chosen[1:] != chosen[:-1]) | (text[1:] != text[:-1])]))
-    count = np.diff(np.append(cut, len(text)))
-    return at[cut], count, text[cut], hashes[chosen[cut]]
+    least &= low
+    place = least.view(np.int64)  # of the minimizer of the string at each position
+    # a stretch ends where the minimizer changes and at the last string of a text
+    change = np.ones(len(place), bool)
+    np.not_equal(place[1:], place[:-1], out=change[1:])
+    texts = np.flatnonzero(lens >= width)
+    first, last = bounds[:-1][texts], bounds[1:][texts] - width
+    inside = np.zeros(len(place) + 1, np.int8)
+    np.add.at(inside, first, 1)
+    np.add.at(inside, last + 1, -1)
+    change[first] = True
+    start = np.flatnonzero(change & (np.cumsum(inside[:-1]) > 0))
+    text = np.searchsorted(first, start, "right") - 1
+    stop = np.minimum(np.append(start[1:], len(place)), last[text] + 1)
+    return start, stop - start, texts[text], hashes[place[start]]
+
+
+def stretch_keys(data: bytes, start: np.ndarray, stop: np.ndarray, width: int, k: int) -> np.ndarray:
+    """64-bit key of the content of every stretch: all its eight-byte words from the front, those of
+    the rest from the back, and its length."""
+    if not len(start):
+        return np.zeros(0, np.uint64)
+    words = _words(data)
+    front = width // 8
+    back = -(-(2 * width - k - 8 * front) // 8)
+    out = (stop - start).astype(np.uint64)
+    for at in [*(start + 8 * i for i in range(front)), *(stop - 8 * (i + 1) for i in range(back))]:
+        out ^= words[at]
+        out *= np.uint64(0x9FB21C651E98DF25)
+        out ^= out >> np.uint64(29)
+    return mix64(out)
 
 
 class Block:
     """The texts of one block and their distinct stretches, in an order that can be made again."""
 
     def __init__(self, doc_ids: list[int | None], lens: list[int], data: bytes, buckets: int, width: int, k: int):
-        from xxhash import xxh3_64_intdigest
-
         self.data, self.bounds, self.width = data, starts_of(np.asarray(lens, np.int64)), width
         self.known = np.asarray([d is not None for d in doc_ids], bool)
         self.ids = np.asarray([d if d is not None else 0 for d in doc_ids], np.int64)
         start, count, text, m = stretches(data, self.bounds, width, k)
         keep = self.known[text] if len(text) else np.zeros(0, bool)
         self.start, self.count, self.text, m = start[keep], count[keep], text[keep], m[keep]
-        view = memoryview(data)
-        stop = self.start + self.count + (width - 1)
-        key = np.fromiter((xxh3_64_intdigest(view[a:b]) for a, b in zip(self.start.tolist(), stop.tolist(), strict=True)), np.uint64, len(self.start))
+        key = stretch_keys(data, self.start, self.start + self.count + (width - 1), width, k)
         self.doc = self.ids[self.text] if len(self.text) else np.zeros(0, np.int64)
-        order = np.lexsort((self.start, self.doc, key))
+        order = np.argsort(key, kind="stable")  # texts stand in order of their ids
         first = np.concatenate([[True], key[order][1:] != key[order][:-1]]) if len(order) else np.zeros(0, bool)
         self.unique = np.empty(len(order), np.int64)
         self.unique[order] = np.cumsum(first) - 1
         lead = order[first]  # of each distinct stretch, its place in the smallest document
         self.u_key, self.u_min, self.u_doc, self.u_start, self.u_count = key[lead], m[lead], self.doc[lead], self.start[lead], self.count[lead]
         self.u_bucket = (self.u_min % np.uint64(buckets)).astype(np.int64)
-        self.by_bucket = np.lexsort((self.u_start, self.u_doc, self.u_bucket))
+        self.by_bucket = np.lexsort((lead, self.u_bucket))
 
     def portions(self) -> Iterator[tuple[int, np.ndarray]]:
         b = self.u_bucket[self.by_bucket]
@@ -154,6 +191,7 @@ def text_blocks(docs: DataFrame, text: str, doc_id: str, block_bytes: int) -> Da
         import zstandard
 
         for part in slices(batches, "text", block_bytes):
+            part = part.take(pc.sort_indices(part.column("id"), null_placement="at_start"))
             rows = part.column("text").to_pylist()
             body = b"".join(rows)
             yield pa.RecordBatch.from_arrays(
@@ -183,8 +221,9 @@ def _send_stretches(blocks: DataFrame, buckets: int, width: int) -> DataFrame:
     return blocks.mapInArrow(run, "block long, bucket int, m binary, key binary, docs binary")
 
 
-def settle(m: np.ndarray, key: np.ndarray, doc: np.ndarray) -> np.ndarray:
-    """Per record: 1 if a smaller document has the stretch, 2 if its strings must be looked up."""
+def settle(m: np.ndarray, key: np.ndarray, doc: np.ndarray, crowd: int = CROWD) -> np.ndarray:
+    """Per record: 1 if a smaller document has the stretch, 2 or 3 if its strings must be looked up
+    (3: so many different stretches share the minimizer that they are cut by a longer one)."""
     n = len(m)
     order = np.lexsort((doc, key, m))
     m, key, d = m[order], key[order], doc[order]
@@ -195,19 +234,20 @@ def settle(m: np.ndarray, key: np.ndarray, doc: np.ndarray) -> np.ndarray:
     group = np.cumsum(new_m[new]) - 1
     opens = np.flatnonzero(new_m[new])
     lo, hi = np.minimum.reduceat(least, opens), np.maximum.reduceat(least, opens)
-    mixed = (lo < hi)[group]
-    status = np.where(d > least[kind], 1, np.where(mixed[kind], 2, 0)).astype(np.uint8)
+    size = np.diff(np.append(opens, len(least)))
+    mixed = np.where(lo < hi, np.where(size > crowd, 3, 2), 0)[group]
+    status = np.where(d > least[kind], 1, mixed[kind]).astype(np.uint8)
     out = np.empty(n, np.uint8)
     out[order] = status
     return out
 
 
-def _settled(sent: DataFrame) -> DataFrame:
+def _settled(sent: DataFrame, crowd: int) -> DataFrame:
     def run(group: pa.Table) -> pa.Table:
         m = [_unpack(x, 5) for x in group.column("m").to_pylist()]
         key = [_unpack(x, 7) for x in group.column("key").to_pylist()]
         doc = [np.cumsum(np.frombuffer(zlib.decompress(x), np.int64)) for x in group.column("docs").to_pylist()]
-        status = settle(np.concatenate(m), np.concatenate(key), np.concatenate(doc))
+        status = settle(np.concatenate(m), np.concatenate(key), np.concatenate(doc), crowd)
         cuts = starts_of(np.asarray([len(x) for x in m]))
         body = [zlib.compress(status[a:b].tobytes(), 1) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
         return pa.table({"block": group.column("block"), "kind": pa.array([1] * len(m), pa.int32()), "bucket": group.column("bucket"), "body": pa.array(body, pa.binary())})
@@ -226,15 +266,21 @@ def _statuses(b: Block, replies: dict[int, bytes]) -> np.ndarray:
 
 
 class Lookup:
-    """The ambiguous stretches of a block, cut by the longer minimizer, in an order that can be made again."""
+    """The ambiguous stretches of a block, crowded ones cut by the longer minimizer, in an order that can be made again."""
 
     def __init__(self, b: Block, status: np.ndarray, buckets: int):
-        self.u = np.flatnonzero(status == 2)
+        self.u = np.flatnonzero(status >= 2)
         size = b.u_count[self.u] + (b.width - 1)
         self.bounds = starts_of(size)
         self.data = b"".join([b.data[s : s + n] for s, n in zip(b.u_start[self.u].tolist(), size.tolist(), strict=True)])
-        self.start, self.count, self.text, m = stretches(self.data, self.bounds, b.width, LONG)
-        self.bucket = (m % np.uint64(buckets)).astype(np.int64)
+        few = status[self.u] == 2  # these go whole, by the minimizer they have
+        start, count, text, m = stretches(self.data, self.bounds, b.width, LONG) if not few.all() else (few.nonzero()[0][:0],) * 3 + (np.zeros(0, np.uint64),)
+        cut = ~few[text]
+        whole = np.flatnonzero(few)
+        self.start = np.concatenate([self.bounds[whole], start[cut]])
+        self.count = np.concatenate([b.u_count[self.u[whole]], count[cut]])
+        self.text = np.concatenate([whole, text[cut]])
+        self.bucket = (np.concatenate([b.u_min[self.u[whole]], m[cut]]) // np.uint64(3) % np.uint64(buckets)).astype(np.int64)
         self.order = np.argsort(self.bucket, kind="stable")
 
     def portions(self) -> Iterator[tuple[int, np.ndarray]]:
@@ -327,14 +373,14 @@ def covered(b: Block, status: np.ndarray, look: Lookup | None, answers: dict[int
     return np.cumsum(edge[:-1]) > 0
 
 
-def remove_repeats(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = 12 << 20, keep_text: bool = True) -> DataFrame:
+def remove_repeats(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = 12 << 20, crowd: int = CROWD, keep_text: bool = True) -> DataFrame:
     """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if wanted, the kept bytes."""
     if width < LONG + 1:
         raise ValueError(f"matches of {LONG + 1} bytes or more")
     blocks = stored(text_blocks(docs, text, doc_id, block_bytes), "text-blocks")
     total = blocks.agg(F.coalesce(F.sum(F.expr("aggregate(lens, 0L, (a, x) -> a + x)")), F.lit(0))).first()[0]
     buckets, long_buckets = 1 + total // bucket_bytes, 1 + 4 * total // bucket_bytes
-    settled = stored(_settled(_send_stretches(blocks, buckets, width)), "settled")
+    settled = stored(_settled(_send_stretches(blocks, buckets, width), crowd), "settled")
     looked = stored(_looked_up(_send_lookups(blocks, settled, buckets, long_buckets, width), width), "looked-up")
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:

@@ -384,7 +384,8 @@ def brute_bytes(rows, width=50):
     return out
 
 
-def test_substring_dedup(spark, odd, docs):
+@pytest.mark.parametrize("crowd", [4096, 2])
+def test_substring_dedup(spark, odd, docs, crowd):
     rng = random.Random(4)
     base = prose(rng, 300)
     mixed = []
@@ -399,7 +400,7 @@ def test_substring_dedup(spark, odd, docs):
     for part in cases:
         want = brute_bytes(collected(part))
         for block, bucket in ((1 << 20, 12 << 20), (700, 2000)):
-            got = substring_dedup.remove_repeats(part, block_bytes=block, bucket_bytes=bucket).collect()
+            got = substring_dedup.remove_repeats(part, block_bytes=block, bucket_bytes=bucket, crowd=crowd).collect()
             assert Counter((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got) == want
             assert all(hashlib.sha256(r.kept).hexdigest() == r.kept_sha256 for r in got)
     assert substring_dedup.remove_repeats(odd.limit(0)).count() == 0
