@@ -84,15 +84,19 @@ def _member(raw: bytes, level: int) -> bytes:
 
 
 def assign_roles(pages: DataFrame, page_id: str, url: str, html: str, min_bytes: int) -> DataFrame:
-    """page_id, url, payload, sha1 and the page that holds the response of an equal payload, if any.
+    """Two kinds of rows: kind 1 is a page (page_id, url, payload, sha1); kind 0 says for a page_id
+    and sha1 which page holds the response of that payload (only where several pages have it).
 
-    Groups are counted before they are joined back, so a payload with very many copies meets as
-    partial sums; the join's large side is split by Spark's skew handling.
+    Both go through one shuffle, where a page meets its kind 0 row by sorting, so payloads move once.
+    Groups are counted before they are joined back to narrow rows, so a payload with very many
+    copies meets as partial sums, and the join's large side can be split by Spark's skew handling.
     """
-    rows = pages.select(F.col(page_id).cast("long").alias("page_id"), F.col(url).cast("string").alias("url"), F.coalesce(F.col(html), F.lit("")).cast("binary").alias("payload"))
-    rows = rows.withColumn("sha1", F.unhex(F.sha1("payload")))
-    groups = rows.where(F.octet_length("payload") >= min_bytes).groupBy("sha1").agg(F.max("page_id").alias("response"), F.count("*").alias("n")).where("n > 1").select("sha1", "response")
-    return rows.join(groups, "sha1", "left")
+    body = F.coalesce(F.col(html), F.lit("")).cast("binary")
+    rows = pages.select(F.col(page_id).cast("long").alias("page_id"), F.col(url).cast("string").alias("url"), body.alias("payload"), F.unhex(F.sha1(body)).alias("sha1"))
+    narrow = rows.where(F.octet_length("payload") >= min_bytes).select("page_id", "sha1")
+    groups = narrow.groupBy("sha1").agg(F.max("page_id").alias("response"), F.count("*").alias("n")).where("n > 1").select("sha1", "response")
+    roles = narrow.join(groups, "sha1").select("page_id", F.lit(None).cast("string").alias("url"), F.lit(None).cast("binary").alias("payload"), "sha1", "response", F.lit(0).alias("kind"))
+    return rows.select("*", F.lit(None).cast("long").alias("response"), F.lit(1).alias("kind")).unionByName(roles)
 
 
 def _cuts(rows: DataFrame, shard_bytes: int) -> list[int]:
@@ -119,7 +123,7 @@ def write(pages: DataFrame, path: str, page_id: str = "page_id", url: str = "url
     plain = pages.select(F.col(page_id).cast("long").alias("page_id"), F.coalesce(F.col(html), F.lit("")).cast("binary").alias("payload"))
     cuts = _cuts(plain, shard_bytes)
     shard = F.size(F.filter(F.array(*[F.lit(c) for c in cuts]), lambda c: c <= F.col("page_id"))) if cuts else F.lit(0)
-    dealt = rows.withColumn("shard", F.when(F.col("page_id").isNull(), 0).otherwise(shard).cast("int")).repartitionById(len(cuts) + 1, F.col("shard")).sortWithinPartitions("shard", F.asc_nulls_first("page_id"), "sha1", "url")
+    dealt = rows.withColumn("shard", F.when(F.col("page_id").isNull(), 0).otherwise(shard).cast("int")).repartitionById(len(cuts) + 1, F.col("shard")).sortWithinPartitions("shard", F.asc_nulls_first("page_id"), "sha1", "kind", "url")
     temp = f"{path}/_temporary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -144,8 +148,13 @@ def write(pages: DataFrame, path: str, page_id: str = "page_id", url: str = "url
             state["sha"].update(data)
 
         last, nth = None, 0
+        said, response = None, None  # the latest kind 0 row
         for part in slices(batches, "payload"):
             for r in part.to_pylist():
+                key = (r["page_id"], r["sha1"])
+                if r["kind"] == 0:
+                    said, response = key, r["response"]
+                    continue
                 if out is not None and (state["bytes"] >= roll_bytes or r["shard"] != state["shard"]):
                     close()
                 if out is None:
@@ -155,10 +164,9 @@ def write(pages: DataFrame, path: str, page_id: str = "page_id", url: str = "url
                     info = b"software: cubegrid\r\nformat: WARC File Format 1.1\r\n"
                     head = b"WARC/1.1\r\nWARC-Type: warcinfo\r\nWARC-Record-ID: <urn:uuid:%s>\r\nWARC-Date: %s\r\nContent-Type: application/warc-fields\r\nContent-Length: %d\r\n\r\n" % (str(uuid.uuid5(_NAMESPACE, f"info:{r['shard']}:{seq}")).encode(), date.encode(), len(info))
                     put(_member(head + info + b"\r\n\r\n", level), 0)
-                key = (r["page_id"], r["sha1"])
                 nth = nth + 1 if key == last else 0
                 last = key
-                to = r["response"]
+                to = response if key == said else None
                 revisit = to is not None and (r["page_id"] != to or nth > 0)
                 put(_member(build_record(r["page_id"], r["url"], r["payload"], r["sha1"], to, revisit, nth, date), level), 1)
         close()
@@ -167,7 +175,7 @@ def write(pages: DataFrame, path: str, page_id: str = "page_id", url: str = "url
             yield pa.RecordBatch.from_arrays([pa.array([d[i] for d in done], kinds[i]) for i in range(7)], names=["shard", "seq", "temp", "name", "records", "bytes", "sha256"])
 
     reports = f"{path}/_reports"
-    dealt.select("shard", "page_id", "url", "payload", "sha1", "response").mapInArrow(run, _MANIFEST).write.parquet(reports)
+    dealt.select("shard", "page_id", "url", "payload", "sha1", "response", "kind").mapInArrow(run, _MANIFEST).write.parquet(reports)
 
     def publish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyarrow import fs
