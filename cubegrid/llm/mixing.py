@@ -1,13 +1,14 @@
 """Mixing sources to target weights by Pfair scheduling.
 
-Each source is cut into blocks of documents. With a share e of a cycle of Q slots, block j of a
-source (from 1) is released at floor((j-1)Q/e) and due at ceil(jQ/e); taking the released block
-with the earliest deadline in every slot keeps each source less than one block from its ideal
-share at all times. The schedule repeats after Q slots, so only one cycle is worked out on the
-driver: the slot of any block follows by arithmetic. When a source runs out, the rest go on as a
-new phase with their weights scaled up, so that every document is placed.
-
-The driver sees one count per source and schedules of Q slots, never documents. The number of a
+Each source is cut into blocks of documents. The target is a fluid one: at every moment the sources
+that still have blocks share the slots in proportion to their weights, and when one runs out the
+others speed up. Block j of a source (from 1) is released in the slot in which the target reaches
+j-1 blocks and due when it reaches j; taking the released block with the earliest deadline in every
+slot keeps each source less than one block from its target at all times, through every phase. Weights
+are taken as the exact rationals they are and times are exact integers: nothing is rounded to a cycle,
+so no error grows with the number of blocks.
+
+The driver sees one count per source and three numbers per block, never documents. The number of a
 document within its source comes from bounded groups (a source's documents are dealt over
 ``group_rows`` sized groups by hash), so a source with a third of all rows is no single task.
 
@@ -19,8 +20,12 @@ columns of the input are replaced.
 from __future__ import annotations
 
 import heapq
+import math
+from bisect import bisect_left
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass
+from fractions import Fraction
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +37,7 @@ NO_SOURCE = "\0none"
 
 
 def shares(weights: list[float], cycle: int) -> list[int]:
-    """Whole shares of a cycle by largest remainder, one slot at least."""
+    """Whole shares of a cycle by largest remainder, one slot at least; mixes do not round and do not use it."""
     total = sum(weights)
     ideal = [w * cycle / total for w in weights]
     out = [max(1, int(x)) for x in ideal]
@@ -47,79 +52,87 @@ def shares(weights: list[float], cycle: int) -> list[int]:
     return out
 
 
-def schedule_cycle(share: list[int]) -> list[int]:
-    """The source of each slot of one cycle: earliest deadline first among released blocks."""
-    cycle = sum(share)
-    waiting = [(0, i, 1) for i in range(len(share))]  # release, source, block
-    heapq.heapify(waiting)
-    ready: list[tuple[int, int, int]] = []
-    slots = []
-    for t in range(cycle):
-        while waiting and waiting[0][0] <= t:
-            _, i, j = heapq.heappop(waiting)
-            heapq.heappush(ready, (-(-j * cycle // share[i]), i, j))
-        _, i, j = heapq.heappop(ready)
-        slots.append(i)
-        if j < share[i]:
-            heapq.heappush(waiting, (max(t + 1, j * cycle // share[i]), i, j + 1))
-    return slots
+def windows(blocks: list[int], weights: list[int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Release and deadline of every block, source after source, and the slots at which phases end.
 
+    When every live source has been given V blocks per unit of weight, source k has min(n_k, w_k V)
+    blocks, and the sum of these is the time: straight between two moments when a source runs out.
+    """
+    order = sorted(range(len(blocks)), key=lambda k: Fraction(blocks[k], weights[k]))
+    n, w = [blocks[k] for k in order], [weights[k] for k in order]
+    gone = [0, *accumulate(n)]
+    live = list(accumulate(w[::-1]))[::-1]
+    release, deadline = np.empty(gone[-1], np.int64), np.empty(gone[-1], np.int64)
+    at = 0
+    for n_own, w_own in zip(blocks, weights, strict=True):
+        starts, ends, j = [0], [], 1
+        while j <= n_own:
+            s = bisect_left(range(len(n)), True, key=lambda s: n[s] * w_own >= j * w[s])  # noqa: B023
+            top = min(n_own, w_own * n[s] // w[s])
+            for x in range(j * live[s], top * live[s] + 1, live[s]):
+                q, r = divmod(x, w_own)
+                starts.append(gone[s] + q)
+                ends.append(gone[s] + q + (r > 0))
+            j = top + 1
+        release[at : at + n_own], deadline[at : at + n_own] = starts[:-1], ends
+        at += n_own
+    stops = [gone[s] - (-n[s] * live[s] // w[s]) for s in range(len(n))]
+    return release, deadline, np.unique(np.asarray(stops, np.int64))
+
+
+def earliest_deadline(release: np.ndarray, deadline: np.ndarray) -> np.ndarray:
+    """The slot of each block: earliest deadline first among released blocks, ties by position."""
+    n = len(release)
+    slot = np.empty(n, np.int64)
+    order = np.argsort(release, kind="stable")
+    begins = np.searchsorted(release[order], np.arange(n + 1))  # blocks released before each slot
+    ready: list[tuple[int, int]] = []
+    for t in range(n):
+        new = order[begins[t] : begins[t + 1]]
+        for key in zip(deadline[new].tolist(), new.tolist(), strict=True):
+            heapq.heappush(ready, key)
+        slot[heapq.heappop(ready)[1]] = t
+    return slot
 
-@dataclass
-class Phase:
-    """Slots [start, stop): a repeated cycle over the sources still left."""
 
-    start: int
-    cycle: int
-    share: dict[int, int]
-    slots: dict[int, np.ndarray]  # within the cycle, of each block of a source
-    first: dict[int, int]  # block number of each source when the phase begins
+def schedule_cycle(share: list[int]) -> list[int]:
+    """The source of each slot of one cycle in which every source has its share."""
+    release, deadline, _ = windows(share, share)
+    slots = earliest_deadline(release, deadline)
+    return np.repeat(np.arange(len(share)), share)[np.argsort(slots)].tolist()
 
 
 @dataclass
 class Schedule:
     names: list[str]
-    phases: list[Phase] = field(default_factory=list)
+    first: np.ndarray  # where the blocks of each source begin in the arrays below
+    slot: np.ndarray
+    release: np.ndarray
+    deadline: np.ndarray
+    stops: np.ndarray  # slots at which phases end
 
     def place(self, source: np.ndarray, block: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """(phase, slot, release, deadline) of blocks, counted from 0 within their sources."""
-        phase, slot = np.zeros(len(block), np.int64), np.zeros(len(block), np.int64)
-        release, deadline = np.zeros(len(block), np.int64), np.zeros(len(block), np.int64)
-        for k, p in enumerate(self.phases):
-            for i, e in p.share.items():
-                at = np.flatnonzero((source == i) & (block >= p.first[i]))
-                own = block[at] - p.first[i]  # later phases overwrite what is theirs
-                phase[at] = k
-                slot[at] = p.start + own // e * p.cycle + p.slots[i][own % e]
-                release[at] = p.start + own * p.cycle // e
-                deadline[at] = p.start - (-(own + 1) * p.cycle // e)
-        return phase, slot, release, deadline
-
-
-def plan(blocks: dict[str, int], weights: dict[str, float], cycle: int) -> Schedule:
+        at = self.first[source] + block
+        return np.searchsorted(self.stops, self.slot[at], side="right"), self.slot[at], self.release[at], self.deadline[at]
+
+
+def whole_weights(weights: list[float]) -> list[int]:
+    """Whole numbers in exactly the ratio of the weights; sources with none come after all others."""
+    exact = [Fraction(x) for x in weights]
+    least = min((x for x in exact if x > 0), default=Fraction(1))
+    exact = [x if x > 0 else least / 10**12 for x in exact]
+    scale = math.lcm(*(x.denominator for x in exact))
+    whole = [int(x * scale) for x in exact]
+    common = math.gcd(*whole)
+    return [x // common for x in whole]
+
+
+def plan(blocks: dict[str, int], weights: dict[str, float]) -> Schedule:
     names = sorted(k for k, n in blocks.items() if n > 0)
-    out = Schedule(names)
-    left = {i: blocks[k] for i, k in enumerate(names)}
-    done = dict.fromkeys(left, 0)
-    start = 0
-    while left:
-        live = sorted(left)
-        length = max(cycle, len(live))
-        share = dict(zip(live, shares([max(weights[names[i]], 1e-12) for i in live], length), strict=True))
-        order = np.asarray(live)[schedule_cycle([share[i] for i in live])]
-        slots = {i: np.flatnonzero(order == i) for i in live}
-        ends = {i: (left[i] - 1) // share[i] * length + int(slots[i][(left[i] - 1) % share[i]]) + 1 for i in live}
-        stop = min(ends.values())
-        out.phases.append(Phase(start, length, share, slots, {i: done[i] for i in live}))
-        whole, rest = divmod(stop, length)
-        for i in live:
-            n = whole * share[i] + int(np.searchsorted(slots[i], rest))
-            done[i] += n
-            left[i] -= n
-            if not left[i]:
-                del left[i]
-        start += stop
-    return out
+    sizes = [blocks[k] for k in names]
+    release, deadline, stops = windows(sizes, whole_weights([weights[k] for k in names]) if names else [])
+    return Schedule(names, np.cumsum([0, *sizes], dtype=np.int64), earliest_deadline(release, deadline), release, deadline, stops)
 
 
 def mix(docs: DataFrame, weights: dict[str, float] | None = None, source: str = "source", doc_id: str = "doc_id", text: str = "text", block_docs: int = 8, cycle: int = 2048, group_rows: int = 1024, temper: float = 0.5, seed: int = 1) -> DataFrame:
@@ -127,6 +140,7 @@ def mix(docs: DataFrame, weights: dict[str, float] | None = None, source: str =
 
     Without ``weights``, a source weighs its number of documents to the power ``temper``; sources
     that ``weights`` leaves out get the smallest weight given. Sorting by mix_rank gives the mix.
+    ``cycle`` is accepted from callers of the former repeated cycle and changes nothing.
     """
     spark = docs.sparkSession
     added = ("mix_block", "mix_slot", "mix_release", "mix_deadline", "mix_phase", "mix_rank")
@@ -136,7 +150,7 @@ def mix(docs: DataFrame, weights: dict[str, float] | None = None, source: str =
     if weights is None:
         weights = {k: n**temper for k, n in sizes.items()}
     least = min(weights.values(), default=1.0)
-    schedule = plan({k: -(-n // block_docs) for k, n in sizes.items()}, {k: weights.get(k, least) for k in sizes}, cycle)
+    schedule = plan({k: -(-n // block_docs) for k, n in sizes.items()}, {k: weights.get(k, least) for k in sizes})
     number = {k: i for i, k in enumerate(schedule.names)}
     groups = spark.createDataFrame([(k, number[k], max(1, -(-n // group_rows))) for k, n in sizes.items()], "__s string, __src int, __groups int")
     hashed = F.xxhash64(F.col(doc_id).cast("string"), F.lit(seed))

@@ -442,6 +442,51 @@ def test_pfair_deviation(weights, cycle):
     assert done == share
 
 
+def fluid_deviation(blocks, weights, owner):
+    """Largest distance of the placed blocks of any source from its target, slot by slot in floats."""
+    left, weight = np.asarray(blocks, float), np.asarray(weights, float)
+    target, done, worst = np.zeros(len(left)), np.zeros(len(left)), 0.0
+    for i in owner:
+        time = 1.0
+        while time > 1e-12:
+            live = np.where(left - target > 1e-9, weight, 0.0)
+            if not live.any():
+                break
+            rate = live / live.sum()
+            step = min(time, np.min((left - target)[live > 0] / rate[live > 0]))
+            target += rate * step
+            time -= step
+        done[i] += 1
+        worst = max(worst, np.abs(done - target).max())
+    return worst
+
+
+def mixed(blocks, weights):
+    names = [f"s{i:05d}" for i in range(len(blocks))]
+    plan = mixing.plan(dict(zip(names, blocks, strict=True)), dict(zip(names, weights, strict=True)))
+    assert ((plan.release <= plan.slot) & (plan.slot < plan.deadline)).all()
+    assert sorted(plan.slot.tolist()) == list(range(sum(blocks)))
+    return plan, np.repeat(np.arange(len(blocks)), blocks)[np.argsort(plan.slot)]
+
+
+@pytest.mark.parametrize(
+    ("blocks", "weights"),
+    [([1250] * 20, [1.0] * 20), ([4, 9000, 9000], [0.0001, 0.49995, 0.49995]), ([300, 2000, 40, 3000], [0.3, 0.31, 2**0.5, 0.05]), ([5] * 40, [float(i) for i in range(1, 41)])],
+)
+def test_mixing_keeps_weights_over_many_cycles(blocks, weights):
+    assert fluid_deviation(blocks, weights, mixed(blocks, weights)[1]) < 1 + 1e-6
+
+
+def test_mixing_thousands_of_sources():
+    weights = [3.0 if i % 2 else 1.0 for i in range(3000)]
+    plan, owner = mixed([4] * 3000, weights)
+    head = np.bincount(owner[:4000] % 2)  # 4,000 slots give sources of weight 3 two thirds of a block, the others two ninths
+    assert 2 * head[0] < head[1]
+    assert fluid_deviation([4] * 3000, weights, owner) < 1 + 1e-6
+    phase = plan.place(np.array([1, 0]), np.array([0, 3]))[0]
+    assert phase.tolist() == [0, 1]
+
+
 def test_mixing_places_all(odd, docs):
     for part, options in ((odd, {"block_docs": 2}), (docs, {"block_docs": 4, "group_rows": 10}), (docs, {"weights": {"src0": 3.0, "src1": 1.0}, "block_docs": 3, "cycle": 64})):
         got = mixing.mix(part, **options).toPandas()
