@@ -86,6 +86,14 @@ def op_join_full(s, d):
     return a.join(b, F.col("c") == F.col("u"), "full").select(F.coalesce("c", "u").alias("id"), F.col("c").isNull().alias("only_supplier"), F.col("u").isNull().alias("only_customer"))
 
 
+@query("op_join_full_all", "SELECT coalesce(c_custkey, s_suppkey) AS id, c_custkey IS NULL AS only_supplier, s_suppkey IS NULL AS only_customer FROM customer FULL JOIN supplier ON c_custkey = s_suppkey")
+def op_join_full_all(s, d):
+    """All customers and all suppliers; what only one side has depends on the tables alone."""
+    a = table(s, d, "customer").select(F.col("c_custkey").alias("c"))
+    b = table(s, d, "supplier").select(F.col("s_suppkey").alias("u"))
+    return a.join(b, F.col("c") == F.col("u"), "full").select(F.coalesce("c", "u").alias("id"), F.col("c").isNull().alias("only_supplier"), F.col("u").isNull().alias("only_customer"))
+
+
 @query("op_semi_blocks", f"WITH {METER}, b AS (SELECT *, rid // ((SELECT count(*) FROM events) // 20) AS block FROM meter) SELECT CAST(block AS BIGINT) AS block, count(*) AS n FROM b WHERE block IN (SELECT block FROM b WHERE region_id = 3 AND day = DATE '2024-01-08') GROUP BY block")
 def op_semi_blocks(s, d):
     """Whole blocks that hold a matching tuple."""
@@ -129,6 +137,15 @@ def op_join_asof(s, d):
     return asof_join(orders, events, ["user_id"], F.col("t"), F.col("ts"), ["event_id"]).select("o_orderkey", "event_id")
 
 
+@query("op_join_asof_all", "SELECT o_orderkey, max_by(event_id, (ts, event_id)) AS event_id FROM (SELECT o_orderkey, o_custkey, CAST(o_orderdate AS TIMESTAMP) + INTERVAL 9516 DAY AS t FROM orders) LEFT JOIN events ON user_id = o_custkey AND ts <= t GROUP BY o_orderkey")
+def op_join_asof_all(s, d):
+    """The last reading of the customer at or before a moment, for every order."""
+    at = F.expr("o_orderdate + INTERVAL '9516' DAY")
+    orders = table(s, d, "orders").select("o_orderkey", F.col("o_custkey").alias("user_id"), at.alias("t"))
+    events = table(s, d, "events").select("user_id", "ts", "event_id")
+    return asof_join(orders, events, ["user_id"], F.col("t"), F.col("ts"), ["event_id"]).select("o_orderkey", "event_id")
+
+
 # ---- aggregation --------------------------------------------------------------------------------------
 
 

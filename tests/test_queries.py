@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import importlib
 import sys
+from datetime import datetime, timedelta
 
 import oracle
 import pytest
@@ -45,6 +46,29 @@ def test_pinned_counts(spark):
     assert q6["grid_headers"] == (656, 1175) and q6["grid_scan"] == (1310, 1175) and q6["compact_2d"][0] == q6["compact_3d"][0] == 60000
 
 
+def test_joins_take_every_row(spark, tmp_path):
+    """The full and the as-of join over whole tables, against brute force on sides that differ."""
+    moment = datetime(2024, 1, 10)
+    customers, suppliers = range(8), range(5, 12)
+    orders = [(k, k % 4, moment - timedelta(days=9516 - k % 3)) for k in range(23)]
+    events = [(k, k % 3, moment + timedelta(hours=7 * k - 20)) for k in range(12)]
+    spark.createDataFrame([(k,) for k in customers], "c_custkey long").write.parquet(f"{tmp_path}/customer.parquet")
+    spark.createDataFrame([(k,) for k in suppliers], "s_suppkey long").write.parquet(f"{tmp_path}/supplier.parquet")
+    spark.createDataFrame(orders, "o_orderkey long, o_custkey long, o_orderdate timestamp_ntz").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame(events, "event_id long, user_id long, ts timestamp_ntz").write.parquet(f"{tmp_path}/events.parquet")
+    full = catalogue.QUERIES["op_join_full_all"](spark, str(tmp_path)).collect()
+    assert sorted(map(tuple, full)) == sorted((k, k not in customers, k not in suppliers) for k in {*customers, *suppliers})
+    asof = {r.o_orderkey: r.event_id for r in catalogue.QUERIES["op_join_asof_all"](spark, str(tmp_path)).collect()}
+    want = {k: max(((ts, e) for e, user, ts in events if user == who and ts <= day + timedelta(days=9516)), default=(None, None))[1] for k, who, day in orders}
+    assert asof == want and len(asof) == 23 and {None} < set(asof.values())
+
+
+def test_joins_take_every_row_of_the_tables(spark):
+    at = {t: spark.read.parquet(f"{SF001}/{t}.parquet").count() for t in ("customer", "orders")}
+    assert catalogue.QUERIES["op_join_full_all"](spark, SF001).where("not only_supplier").count() == at["customer"]
+    assert catalogue.QUERIES["op_join_asof_all"](spark, SF001).count() == at["orders"]
+
+
 def test_without_llm(monkeypatch):
     """The entry module stands without the llm subpackage and the pipeline."""
     for name in ("cubegrid.llm", "cubegrid.llm.registry", "corpus_pipeline"):
