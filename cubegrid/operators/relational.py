@@ -301,7 +301,7 @@ def op_coalesce_ranges(s, d):
     """Row ranges per file that a query reads, adjacent segments joined."""
     from cubegrid.plans.execute import ranges_by_file
     from cubegrid.plans.planner import GridQuery
-    from cubegrid.workloads import SUM, _is_large, box
+    from cubegrid.workloads import SUM, box
 
-    plan = meter_grid(s, d, "grid_m").plan(GridQuery(box("p05", _is_large(s, d)), SUM), headers=False)
+    plan = meter_grid(s, d, "grid_m").plan(GridQuery(box("p05"), SUM), headers=False)
     return ranges_by_file(plan.cells).select(F.size("ranges").alias("ranges"), "rows")

@@ -69,6 +69,23 @@ def test_joins_take_every_row_of_the_tables(spark):
     assert catalogue.QUERIES["op_join_asof_all"](spark, SF001).count() == at["orders"]
 
 
+SF1 = "/root/testdata/sf0.1"  # 100,000 events
+AT_SF1 = ["agg_p05_grid_m", "agg_p12_scan", "group_point_compact", "join_p05_sharded", "grid_cells_meter_l", "reads_agg_meter", "measure_amplification_meter", "extra_pred_grid_m", "grid_sql_select", "grid_sql_create", "partition_compact_agg", "append_equals_rebuild"]
+AT_SF1_LARGE = ["agg_p05_grid_m_large", "agg_p12_scan_large", "group_p05_grid_l_large", "join_point_grid_s_large", "partial_grid_l_large", "grid_cells_meter_m_large", "reads_group_meter_large"]
+
+
+@pytest.mark.parametrize("name", [*AT_SF1, *AT_SF1_LARGE])
+def test_sql_holds_at_every_size(spark, name):
+    """A query answers its own SQL however many events there are."""
+    assert oracle.difference(catalogue.QUERIES[name](spark, SF1), oracle.connect(SF1), catalogue.ORACLE[name]) is None
+
+
+def test_pinned_counts_large(spark):
+    reads = {(r.method, r.query): (r.records_read, r.accurate) for r in workloads.reads_agg_meter_large(spark, SF1).collect()}
+    assert [reads[(m, "p05")] for m in (*workloads.GRIDS, "compact")] == [(12837, 5097), (1517, 5097), (162, 5097), (35000, 5097)]
+    assert catalogue.QUERIES["agg_p12_grid_m_large"](spark, SF1).first()["sum_power"] == pytest.approx(600582.34)
+
+
 def test_without_llm(monkeypatch):
     """The entry module stands without the llm subpackage and the pipeline."""
     for name in ("cubegrid.llm", "cubegrid.llm.registry", "corpus_pipeline"):
