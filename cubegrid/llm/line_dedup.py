@@ -1,15 +1,20 @@
-"""Line deduplication by a suffix array over line-ID sequences, built by distributed prefix doubling.
+"""Line deduplication over line-ID sequences by the first steps of distributed prefix doubling.
 
 Every non-blank line gets an ID from its content; a document is a sequence of IDs. A round of
 doubling names the window of 2k lines at a position by the pair of names of its two halves, sorts
 the distinct pairs by range over the cluster and takes the order as the new, order-preserving
 name. Windows that occur once can never again be part of a repeat, so they are discarded and each
-round carries only what still repeats. Positions that share a name at depth m are an interval of
-the suffix array whose common prefix is m lines or more; where the interval holds an earlier
-position, the window is a later copy. Merged, those windows are the maximal repeated runs.
+round carries only what still repeats.
+
+Doubling stops at ``min_lines``: with the usual two, one round names the windows of two lines, and no
+full suffix array is built (``suffix_array`` goes further and is not on the query's path). A window with
+an earlier equal one is a later copy. The lines cut are those that longer windows would give, since a
+longer later copy consists of later windows of two. Neighbouring lines that are cut are merged, and the
+count of runs is of these stretches: two repeated runs of different origin that touch count once, and a
+stretch need not repeat as a whole.
 
 A run counts if it has ``min_lines`` lines, or is one line of ``long_words`` words or more; of each
-such run only the copy first in order (doc_id, line) stays.
+such run only the copy first in order (doc_id, line) stays. A shorter single line stays in every copy.
 
 Equal pairs are counted before they are sorted, so a line that stands in a third of all documents
 is one row there; the joins back to positions are split by Spark's skew handling.
