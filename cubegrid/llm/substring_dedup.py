@@ -148,7 +148,13 @@ class Block:
         key = stretch_keys(data, self.start, self.start + self.count + (width - 1), width, k)
         self.doc = self.ids[self.text] if len(self.text) else np.zeros(0, np.int64)
         order = np.argsort(key, kind="stable")  # texts stand in order of their ids
-        first = np.concatenate([[True], key[order][1:] != key[order][:-1]]) if len(order) else np.zeros(0, bool)
+        first = np.zeros(len(order), bool)
+        if len(order):  # equal in key and minimizer
+            other_key, other_m = key[order][1:] != key[order][:-1], m[order][1:] != m[order][:-1]
+            if (other_m & ~other_key).any():  # a clash of keys, to be taken apart
+                order = np.lexsort((m, key))
+                other_key, other_m = key[order][1:] != key[order][:-1], m[order][1:] != m[order][:-1]
+            first = np.concatenate([[True], other_key | other_m])
         self.unique = np.empty(len(order), np.int64)
         self.unique[order] = np.cumsum(first) - 1
         lead = order[first]  # of each distinct stretch, its place in the smallest document

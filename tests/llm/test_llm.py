@@ -426,6 +426,18 @@ def test_run_length_index(strings):
             at += 1
 
 
+def test_stretches_with_clashing_keys_stay_apart(monkeypatch):
+    """Within a block, stretches are equal only if their minimizers are as well."""
+    rng = random.Random(5)
+    texts = [prose(rng, 60).encode() for _ in range(6)]
+    made = lambda: substring_dedup.Block(list(range(7)), [len(t) for t in [*texts, texts[0]]], b"".join([*texts, texts[0]]), 4, substring_dedup.WIDTH, substring_dedup.SHORT)
+    plain = made()
+    monkeypatch.setattr(substring_dedup, "stretch_keys", lambda data, start, stop, width, k: np.zeros(len(start), np.uint64))
+    clash = made()
+    m = [plain.u_min[plain.unique], clash.u_min[clash.unique]]
+    assert len(set(clash.u_min.tolist())) == len(clash.u_min) > 1 and (m[0] == m[1]).all()
+
+
 # ---- mixing -------------------------------------------------------------------------------------------------------------
 
 
