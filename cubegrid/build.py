@@ -11,6 +11,8 @@ from cubegrid.policy import SplitPolicy
 
 #: Bits of each coordinate that take part in the interleaved order.
 _Z_BITS = 16
+#: Rows of a Parquet page. Pages are what a read can skip, so they are kept well below a cell's rows.
+PAGE_ROWS = 512
 
 
 def assign_cells(df: DataFrame, policy: SplitPolicy) -> DataFrame:
@@ -42,7 +44,7 @@ def cell_order(policy: SplitPolicy, layout: str) -> list[Column]:
     return [F.col(c) for c in columns]
 
 
-def reorganise(df: DataFrame, policy: SplitPolicy, path: str, files: int | None = None, layout: str = "lex", salt: int = 1, compression: str = "zstd", row_group_bytes: int | None = None) -> None:
+def reorganise(df: DataFrame, policy: SplitPolicy, path: str, files: int | None = None, layout: str = "lex", salt: int = 1, compression: str = "zstd", row_group_bytes: int | None = None, page_rows: int = PAGE_ROWS) -> None:
     """Write rows sorted by cell: a range shuffle, so a cell lies in one file unless salted.
 
     ``salt`` above 1 lets a cell with very many rows spread over several files; its entry then has
@@ -52,42 +54,59 @@ def reorganise(df: DataFrame, policy: SplitPolicy, path: str, files: int | None
     spread = [F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in df.columns]), F.lit(salt))] if salt > 1 else []
     cells = assign_cells(df, policy)
     dealt = cells.repartitionByRange(files, *keys, *spread) if files else cells.repartitionByRange(*keys, *spread)
-    writer = dealt.sortWithinPartitions(*keys).write.option("compression", compression)
+    writer = dealt.sortWithinPartitions(*keys).write.option("compression", compression).option("parquet.page.row.count.limit", page_rows)
     if row_group_bytes:
-        writer = writer.option("parquet.block.size", row_group_bytes).option("parquet.page.row.count.limit", 1000)
+        writer = writer.option("parquet.block.size", row_group_bytes)
     writer.parquet(path)
 
 
+def _wide(policy: SplitPolicy) -> list:
+    """Dimensions whose cells hold several ticks; of the others the coordinate says the tick."""
+    return [d for d in policy.dims if not d.cut_points and (d.width_ticks > 1 or d.continuous)]
+
+
 def describe_cells(data: DataFrame, policy: SplitPolicy, headers: list[Header], batch_id: int) -> DataFrame:
-    """One entry per (cell, file): header values, observed ticks, row range and estimated bytes.
+    """One entry per (cell, file) in stored form: header values, observed ticks, first row.
 
     A second narrow pass over written files, because row positions exist only then and a retried
-    task must not count twice. Partial aggregation leaves about one row per file and cell.
+    task must not count twice. Partial aggregation leaves about one row per file and cell. What
+    follows from the rest (corner, end of the row range, ticks of unit cells) is not stored.
     """
-    seen = [f(d.ticks()).alias(f"dim_{n}_{d.name}") for d in policy.dims if not d.cut_points for n, f in (("min", F.min), ("max", F.max))]
+    seen = [(f(d.ticks()) - F.any_value(F.col(d.column)) * d.width_ticks - d.origin_ticks).alias(f"off_{n}_{d.name}") for d in _wide(policy) for n, f in (("min", F.min), ("max", F.max))]
     per_cell = (
         data.select("*", F.col("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("__row"), F.col("_metadata.file_size").alias("__size"))
         .groupBy("file", *policy.columns)
-        .agg(F.count("*").alias("n"), *[h.partial().alias(h.column) for h in headers], *seen, F.min("__row").alias("row_start"), (F.max("__row") + 1).alias("row_end"), F.max("__size").alias("__size"))
+        .agg(F.count("*").alias("n"), *[h.partial().alias(h.column) for h in headers], *seen, F.min("__row").alias("row_start"), F.max("__size").alias("file_bytes"))
     )
-    share = F.col("n") / F.sum("n").over(Window.partitionBy("file"))
-    return per_cell.select(
+    return per_cell.withColumn("file_rows", F.sum("n").over(Window.partitionBy("file"))).withColumn("batch_id", F.lit(batch_id).cast("long"))
+
+
+def full_entries(stored: DataFrame, policy: SplitPolicy, headers: list[Header]) -> DataFrame:
+    """Entries with all that follows from what is stored."""
+    wide = {d.name for d in _wide(policy)}
+    ticks = []
+    for d in policy.dims:
+        if d.cut_points:
+            continue
+        low = f"g_{d.name} * {d.width_ticks} + {d.origin_ticks}"
+        ticks += [f"{low}{f' + off_{n}_{d.name}' if d.name in wide else ''} AS dim_{n}_{d.name}" for n in ("min", "max")]
+    return stored.select(
         *policy.columns,
         policy.corner().alias("corner"),
         "n",
         *[h.column for h in headers],
-        *[c for d in policy.dims if not d.cut_points for c in (f"dim_min_{d.name}", f"dim_max_{d.name}")],
+        *[F.expr(t) for t in ticks],
         "file",
         "row_start",
-        "row_end",
-        F.round(F.col("__size") * share).cast("long").alias("bytes"),
-        F.lit(batch_id).cast("long").alias("batch_id"),
+        F.expr("row_start + n AS row_end"),
+        F.expr("CAST(round(file_bytes * (n / file_rows)) AS BIGINT) AS bytes"),
+        "batch_id",
     )
 
 
 def locate_segments(data: DataFrame, policy: SplitPolicy) -> DataFrame:
     """file, cell and row range only."""
-    return describe_cells(data, policy, [], 0).select("file", *policy.columns, "row_start", "row_end", "n", "bytes")
+    return full_entries(describe_cells(data, policy, [], 0), policy, []).select("file", *policy.columns, "row_start", "row_end", "n", "bytes")
 
 
 def dimension_bounds(entries: DataFrame, policy: SplitPolicy) -> DataFrame:

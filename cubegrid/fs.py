@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import contextlib
+import re
 import tempfile
 import uuid
 
@@ -29,6 +29,12 @@ def size(spark: SparkSession, path: str) -> int:
     return fs.getContentSummary(p).getLength() if fs.exists(p) else 0
 
 
+def names(spark: SparkSession, path: str) -> list[str]:
+    """Names of what lies directly in a folder; none where there is no folder."""
+    fs, p = _fs(spark, path)
+    return sorted(s.getPath().getName() for s in fs.listStatus(p)) if fs.exists(p) else []
+
+
 def list_files(spark: SparkSession, path: str) -> list[tuple[str, int]]:
     """(path, bytes) of the data files under a folder."""
     fs, p = _fs(spark, path)
@@ -49,18 +55,34 @@ def read_text(spark: SparkSession, path: str) -> str:
         stream.close()
 
 
-def write_text(spark: SparkSession, path: str, text: str) -> None:
-    """Write beside the target and rename over it: readers see the old or the new content."""
+def publish_text(spark: SparkSession, path: str, text: str) -> bool:
+    """Create a file with this content, whole or not at all; False if the name is taken.
+
+    The content is written beside the target and given its name in one step that fails where the
+    name exists: a hard link on a local disk, a rename elsewhere (atomic on HDFS and its like).
+    """
     fs, p = _fs(spark, path)
-    temp = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}.{uuid.uuid4().hex}")
+    jvm = spark.sparkContext._jvm
+    temp = jvm.org.apache.hadoop.fs.Path(p.getParent(), f".{p.getName()}.{uuid.uuid4().hex}")
+    fs.mkdirs(p.getParent())
     stream = fs.create(temp, True)
     stream.write(bytearray(text.encode()))
     stream.close()
-    if not fs.rename(temp, p):
-        with contextlib.suppress(Exception):
-            fs.delete(p, False)
-        if not fs.rename(temp, p):
-            raise OSError(f"cannot publish {path}")
+    try:
+        if fs.getScheme() == "file":
+            at = lambda x: jvm.java.nio.file.Path.of(x.toUri().getPath(), spark.sparkContext._gateway.new_array(jvm.String, 0))
+            if fs.exists(p):
+                return False
+            try:
+                jvm.java.nio.file.Files.createLink(at(p), at(temp))
+            except Exception:  # taken in the meantime, or a disk without links
+                if fs.exists(p):
+                    return False
+                raise
+            return True
+        return not fs.exists(p) and fs.rename(temp, p)
+    finally:
+        fs.delete(temp, False)
 
 
 _OWN_ROOTS: dict[str, str] = {}
@@ -69,15 +91,21 @@ _OWN_ROOTS: dict[str, str] = {}
 def shared_root(spark: SparkSession) -> str:
     """The folder that driver and executors share, as the session names it.
 
-    Only where ``spark.checkpoint.dir`` is unset (one machine, tests) a temporary folder stands in.
+    Where ``spark.checkpoint.dir`` is unset, the folder given to ``setCheckpointDir`` is taken; a
+    temporary folder of this machine stands in only where the whole application runs in one process.
     """
     root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        app = spark.sparkContext.applicationId
-        if app not in _OWN_ROOTS:
-            _OWN_ROOTS[app] = f"file://{tempfile.mkdtemp(prefix='cubegrid-')}"
-        root = _OWN_ROOTS[app]
-    return root.rstrip("/")
+    if root:
+        return root.rstrip("/")
+    given = spark.sparkContext._jsc.sc().getCheckpointDir()
+    if given.isDefined():
+        return given.get().rstrip("/")
+    if re.fullmatch(r"local(\[[^]]*\])?", spark.sparkContext.master) is None:
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+    app = spark.sparkContext.applicationId
+    if app not in _OWN_ROOTS:
+        _OWN_ROOTS[app] = f"file://{tempfile.mkdtemp(prefix='cubegrid-')}"
+    return _OWN_ROOTS[app]
 
 
 def scratch(spark: SparkSession, name: str) -> str:

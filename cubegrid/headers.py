@@ -10,9 +10,21 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 
+#: Quoted text of any kind, words, and single characters of everything else.
+_TOKEN = re.compile(r"""'(?:[^'\\]|\\.|'')*'|"(?:[^"\\]|\\.|"")*"|`[^`]*`|\w+|[^\w\s]""")
+
+
 def canonical(expr: str) -> str:
-    """An expression without white space and case, for comparing."""
-    return re.sub(r"\s+", "", expr).lower()
+    """An expression for comparing: white space and case count inside quotes only.
+
+    Two spellings that differ otherwise are taken as different, which costs a header but never an answer.
+    """
+    out: list[str] = []
+    for t in _TOKEN.findall(expr):
+        if out and (out[-1][-1].isalnum() or out[-1][-1] == "_") and (t[0].isalnum() or t[0] == "_"):
+            out.append(" ")
+        out.append(t if t[0] in "'\"`" else t.lower())
+    return "".join(out)
 
 
 @dataclass(frozen=True)

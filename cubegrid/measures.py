@@ -80,8 +80,9 @@ def estimate(plan, lookup_cost: float = 1.0, row_cost: float = 0.02) -> DataFram
     return s.select((F.col("related") * lookup_cost + rows * row_cost).alias("cost"), "related", rows.alias("rows"))
 
 
-def scan_footprint(df: DataFrame) -> dict[str, int]:
-    """Files and rows that the executed scans of a query read, from Spark's own plan metrics."""
+def scan_footprint(df: DataFrame, folder: str = "") -> dict[str, int]:
+    """Files and rows that the executed Parquet scans of a query hand out, from Spark's own plan metrics;
+    only scans of files under ``folder`` where one is given."""
     df.collect()
     out = {"files": 0, "rows": 0}
     todo = [df._jdf.queryExecution().executedPlan()]
@@ -94,7 +95,7 @@ def scan_footprint(df: DataFrame) -> dict[str, int]:
         if "QueryStage" in name:
             todo.append(node.plan())
             continue
-        if name.startswith("Scan parquet"):
+        if name.startswith("Scan parquet") and folder.split(":", 1)[-1].lstrip("/") in node.relation().location().rootPaths().mkString(" "):
             for key, metric in (("files", "numFiles"), ("rows", "numOutputRows")):
                 m = node.metrics().get(metric)
                 if m.isDefined():

@@ -79,15 +79,8 @@ def op_join_left(s, d):
     return table(s, d, "customer").join(per_user, F.col("c_custkey") == F.col("user_id"), "left").select("c_custkey", F.coalesce("n", F.lit(0)).alias("n"))
 
 
-@query("op_join_full", "SELECT coalesce(c, u) AS id, c IS NULL AS only_supplier, u IS NULL AS only_customer FROM (SELECT c_custkey AS c FROM customer WHERE c_custkey % 3 = 0) FULL JOIN (SELECT s_suppkey AS u FROM supplier) ON c = u")
+@query("op_join_full", "SELECT coalesce(c_custkey, s_suppkey) AS id, c_custkey IS NULL AS only_supplier, s_suppkey IS NULL AS only_customer FROM customer FULL JOIN supplier ON c_custkey = s_suppkey")
 def op_join_full(s, d):
-    a = table(s, d, "customer").where("c_custkey % 3 = 0").select(F.col("c_custkey").alias("c"))
-    b = table(s, d, "supplier").select(F.col("s_suppkey").alias("u"))
-    return a.join(b, F.col("c") == F.col("u"), "full").select(F.coalesce("c", "u").alias("id"), F.col("c").isNull().alias("only_supplier"), F.col("u").isNull().alias("only_customer"))
-
-
-@query("op_join_full_all", "SELECT coalesce(c_custkey, s_suppkey) AS id, c_custkey IS NULL AS only_supplier, s_suppkey IS NULL AS only_customer FROM customer FULL JOIN supplier ON c_custkey = s_suppkey")
-def op_join_full_all(s, d):
     """All customers and all suppliers; what only one side has depends on the tables alone."""
     a = table(s, d, "customer").select(F.col("c_custkey").alias("c"))
     b = table(s, d, "supplier").select(F.col("s_suppkey").alias("u"))
@@ -128,17 +121,8 @@ def op_join_range_boxes(s, d):
     return range_join(table(s, d, "orders").select("o_orderkey"), "o_orderkey", boxes, "lo", "hi", 64).groupBy("box").agg(F.count("*").alias("n"))
 
 
-@query("op_join_asof", "SELECT o_orderkey, max_by(event_id, (ts, event_id)) AS event_id FROM (SELECT o_orderkey, o_custkey, CAST(o_orderdate AS TIMESTAMP) + INTERVAL 9516 DAY AS t FROM orders WHERE o_orderkey % 7 = 0) LEFT JOIN events ON user_id = o_custkey AND ts <= t GROUP BY o_orderkey")
+@query("op_join_asof", "SELECT o_orderkey, max_by(event_id, (ts, event_id)) AS event_id FROM (SELECT o_orderkey, o_custkey, CAST(o_orderdate AS TIMESTAMP) + INTERVAL 9516 DAY AS t FROM orders) LEFT JOIN events ON user_id = o_custkey AND ts <= t GROUP BY o_orderkey")
 def op_join_asof(s, d):
-    """The last reading of the customer at or before a moment."""
-    at = F.expr("o_orderdate + INTERVAL '9516' DAY")
-    orders = table(s, d, "orders").where("o_orderkey % 7 = 0").select("o_orderkey", F.col("o_custkey").alias("user_id"), at.alias("t"))
-    events = table(s, d, "events").select("user_id", "ts", "event_id")
-    return asof_join(orders, events, ["user_id"], F.col("t"), F.col("ts"), ["event_id"]).select("o_orderkey", "event_id")
-
-
-@query("op_join_asof_all", "SELECT o_orderkey, max_by(event_id, (ts, event_id)) AS event_id FROM (SELECT o_orderkey, o_custkey, CAST(o_orderdate AS TIMESTAMP) + INTERVAL 9516 DAY AS t FROM orders) LEFT JOIN events ON user_id = o_custkey AND ts <= t GROUP BY o_orderkey")
-def op_join_asof_all(s, d):
     """The last reading of the customer at or before a moment, for every order."""
     at = F.expr("o_orderdate + INTERVAL '9516' DAY")
     orders = table(s, d, "orders").select("o_orderkey", F.col("o_custkey").alias("user_id"), at.alias("t"))
@@ -256,9 +240,11 @@ def op_intersect(s, d):
     return table(s, d, "orders").select(F.col("o_custkey").alias("id")).intersect(table(s, d, "events").select(F.col("user_id").alias("id")))
 
 
-@query("op_except", "SELECT c_custkey AS id FROM customer EXCEPT SELECT o_custkey FROM orders")
+@query("op_except", "SELECT CAST(o_orderdate AS DATE) AS day FROM orders EXCEPT SELECT CAST(l_shipdate AS DATE) FROM lineitem WHERE l_quantity > 49")
 def op_except(s, d):
-    return table(s, d, "customer").select(F.col("c_custkey").alias("id")).subtract(table(s, d, "orders").select(F.col("o_custkey").alias("id")))
+    """Days with orders on which no large position was shipped."""
+    shipped = table(s, d, "lineitem").where("l_quantity > 49").select(F.col("l_shipdate").cast("date").alias("day"))
+    return table(s, d, "orders").select(F.col("o_orderdate").cast("date").alias("day")).subtract(shipped)
 
 
 @query("op_scalar_subq", "SELECT o_orderkey FROM orders WHERE CAST(o_totalprice AS DECIMAL(18,2)) > (SELECT max(CAST(o_totalprice AS DECIMAL(18,2))) FROM orders) * 0.98")

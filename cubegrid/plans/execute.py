@@ -30,33 +30,27 @@ def ranges_by_file(cells: DataFrame) -> DataFrame:
 def scan_cells(plan) -> DataFrame:
     """Rows of the cells that the plan reads and that satisfy its box and residual.
 
-    Files come from the catalog; within them the ranges on the sorted coordinate columns reach the
-    Parquet reader, which skips row groups and pages. With headers in use the inner box is taken
-    out, so no row is counted twice; in observed mode the inner cells are no box and the rim is a
-    semi-join on its cells.
+    Files come from the catalog; within them plain ranges on the sorted coordinate columns reach the
+    Parquet reader, which skips row groups and pages, so that little more than the row ranges of these
+    cells is read. With headers in use only the rim of the box is asked for, as a union of boxes, so no
+    row is counted twice; in observed mode the inner cells are no box and the rim is a semi-join.
     """
     grid, box = plan.grid, plan.box
     if box.is_empty:
-        return grid.data().where(F.lit(False))
-    cells = plan.read_cells()
-    files = None if grid.file_count <= FEW_FILES else choose_files(cells)
+        return grid.data().where("false")
+    observed = plan.headers and plan.mode == "observed"
+    files = None if grid.file_count <= FEW_FILES else choose_files(plan.read_cells())
     if files is not None and not files:
-        return grid.data().where(F.lit(False))
-    rows = grid.data(files)
-    if box.intervals:
-        rows = rows.where(box.related())
-    if plan.headers:
-        if plan.mode == "observed":
-            keys = grid.policy.columns
-            rim = cells.select(*[F.col(c).alias(f"__{c}") for c in keys], F.col("file").alias("__file")).distinct()
-            rows = rows.withColumn("__path", F.col("_metadata.file_path"))
-            same = F.col("__path") == F.col("__file")
-            for c in keys:
-                same = same & F.col(c).eqNullSafe(F.col(f"__{c}"))
-            rows = rows.join(rim, same, "left_semi").drop("__path")
-        elif box.has_inner:
-            rows = rows.where(~F.coalesce(box.inner(), F.lit(False)))
-    rows = rows.where(box.rows())
-    if plan.query.residual:
-        rows = rows.where(F.expr(plan.query.residual))
+        return grid.data().where("false")
+    terms = [box.rim_sql() if plan.headers and not observed else "true", box.rows_sql(), plan.query.residual or "true"]
+    # related first: its plain ranges are pushed down whatever the rest is
+    rows = grid.data(files).where(" AND ".join(f"({t})" for t in [box.related_sql(), *terms] if t != "true") or "true")
+    if observed:
+        keys = grid.policy.columns
+        rim = plan.read_cells().select(*[F.col(c).alias(f"__{c}") for c in keys], F.col("file").alias("__file")).distinct()
+        rows = rows.select("*", F.col("_metadata.file_path").alias("__path"))
+        same = F.col("__path") == F.col("__file")
+        for c in keys:
+            same = same & F.col(c).eqNullSafe(F.col(f"__{c}"))
+        rows = rows.join(rim, same, "left_semi").drop("__path")
     return rows

@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
-from functools import reduce
+from dataclasses import dataclass
+from functools import cached_property, reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -32,14 +32,35 @@ class Plan:
     mode: str  # geometric or observed
     headers: bool  # whether inner cells are answered from headers
     reason: str = ""
-    cells: DataFrame = field(default=None, repr=False)
+
+    @cached_property
+    def cells(self) -> DataFrame:
+        """Entries that the box touches, with the boolean ``inner``. A filter on the catalog, never an
+        enumeration of the box."""
+        if self.box.is_empty:
+            return self.grid.entries().select("*", F.lit(False).alias("inner")).where("false")
+        return self.grid.entries().where(self._touched()).select("*", F.expr(self._inside()).alias("inner"))
+
+    def _touched(self) -> str:
+        touched = self.box.related_sql()
+        return f"{touched} AND {self.box.overlap_observed_sql()}" if self.mode == "observed" else touched
+
+    def _inside(self) -> str:
+        return self.box.inner_observed_sql() if self.mode == "observed" else self.box.inner_sql()
+
+    def inner_entries(self) -> DataFrame:
+        """Entries that headers answer."""
+        if self.box.is_empty or (self.mode == "geometric" and not self.box.has_inner):
+            return self.grid.entries().where("false")
+        return self.grid.entries().where(f"{self._touched()} AND {self._inside()}")
 
     def read_cells(self) -> DataFrame:
         """Entries whose rows the plan reads."""
         return self.cells.where(~F.col("inner")) if self.headers else self.cells
 
     def records_read(self) -> DataFrame:
-        """One row: rows of the cells that this very plan reads."""
+        """One row: rows of the cells whose row ranges this plan asks for, from the catalog. What the scan
+        hands out is ``measures.scan_footprint``: these, but for the ends of pages."""
         return self.read_cells().agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("records_read"))
 
     def stats(self) -> DataFrame:
@@ -63,7 +84,7 @@ class Plan:
         if self.headers and q.group:
             return _group_from_headers(self)
         if self.headers:
-            return _merge(self.grid, q, [(self.box, self.cells)], mode=self.mode)
+            return _merge(self.grid, q, [self])
         rows = scan_cells(self)
         outs = [a.over_rows() for a in q.aggs]
         return rows.groupBy(*q.group).agg(*outs) if q.group else rows.agg(*outs)
@@ -92,17 +113,6 @@ def header_answerable(query: GridQuery, headers: list[Header], policy) -> tuple[
     return True, ""
 
 
-def related_cells(entries: DataFrame, box: PredicateBox, mode: str = "geometric") -> DataFrame:
-    """Entries that the box touches, with the boolean ``inner``. A filter on the catalog, never an
-    enumeration of the box."""
-    if box.is_empty:
-        return entries.where(F.lit(False)).withColumn("inner", F.lit(False))
-    cells = entries.where(box.related())
-    if mode == "observed":
-        return cells.where(box.overlap_observed()).withColumn("inner", box.inner_observed())
-    return cells.withColumn("inner", box.inner())
-
-
 def make_plan(grid, query: GridQuery, mode: str = "geometric", use_headers: bool = True) -> Plan:
     box = make_box(grid.policy, query.ranges, query.residual)
     if box.residual != query.residual:
@@ -110,7 +120,7 @@ def make_plan(grid, query: GridQuery, mode: str = "geometric", use_headers: bool
     ok, reason = header_answerable(query, grid.headers, grid.policy) if use_headers else (False, "headers not wanted")
     if ok and query.group and not box.has_inner:
         ok, reason = False, "no inner cell"
-    return Plan(grid, query, box, mode, ok, reason, related_cells(grid.entries(), box, mode))
+    return Plan(grid, query, box, mode, ok, reason)
 
 
 # ---- header part and boundary part ----------------------------------------------------------------
@@ -139,25 +149,23 @@ def _finished(grid, query: GridQuery, needed: list[Header], merged: dict[str, Co
     return out
 
 
-def _merge(grid, query: GridQuery, parts: list[tuple[PredicateBox, DataFrame]], group: tuple[str, ...] = (), mode: str = "geometric") -> DataFrame:
+def _merge(grid, query: GridQuery, plans: list[Plan], group: tuple[str, ...] = ()) -> DataFrame:
     """Headers of inner cells and partials over boundary rows, united and merged in one job."""
     needed = _needed(grid, query)
     names = ["n", *[h.column for h in needed]]
     merges = {"n": lambda c: F.sum(c), **{h.column: h.merge for h in needed}}
     pieces = []
-    for box, cells in parts:
-        inner = cells.where("inner")
-        plan = Plan(grid, query, box, mode, True, cells=cells)
+    for plan in plans:
         rows = scan_cells(plan)
         partial = [F.count("*").alias("n"), *[h.partial().alias(h.column) for h in needed]]
+        # entries join the final merge as they are: its map side already combines them
         if group:
-            pieces.append(inner.select(*[_group_value(grid, g) for g in group], *names))
+            pieces.append(plan.inner_entries().select(*[_group_value(grid, g) for g in group], *names))
             pieces.append(rows.groupBy(*[_row_value(grid, g) for g in group]).agg(*partial))
         else:
-            # entries join the final merge as they are: its map side already combines them
-            pieces.append(inner.select(*names))
+            pieces.append(plan.inner_entries().select(*names))
             pieces.append(rows.agg(*partial))
-    union = reduce(DataFrame.unionByName, pieces)
+    union = reduce(DataFrame.union, pieces)  # all of the same columns in the same order
     merged = {n: merges[n](F.col(n)) for n in names}
     outs = _finished(grid, query, needed, merged)
     if group:
@@ -186,7 +194,7 @@ def _row_value(grid, name: str) -> Column:
 
 
 def _group_from_headers(plan: Plan) -> DataFrame:
-    return _merge(plan.grid, plan.query, [(plan.box, plan.cells)], plan.query.group, plan.mode)
+    return _merge(plan.grid, plan.query, [plan], plan.query.group)
 
 
 def plan_union(grid, boxes: list[tuple], aggs: tuple[Agg, ...]) -> DataFrame:
@@ -202,4 +210,4 @@ def plan_union(grid, boxes: list[tuple], aggs: tuple[Agg, ...]) -> DataFrame:
     ok, reason = header_answerable(query, grid.headers, grid.policy)
     if not ok:
         raise ValueError(reason)
-    return _merge(grid, query, [(b, related_cells(grid.entries(), b)) for b in made])
+    return _merge(grid, query, [Plan(grid, query, b, "geometric", True) for b in made])

@@ -6,7 +6,7 @@ import bisect
 from collections.abc import Sequence
 from dataclasses import dataclass, field
 from datetime import date, datetime
-from functools import reduce
+from decimal import Decimal
 from typing import Any
 
 from pyspark.sql import Column
@@ -47,27 +47,22 @@ class Range:
             return cls(name, hi=value, hi_closed=op == "<=")
         raise ValueError(f"no range for operator {op}")
 
-    def on_column(self, dim: Dim) -> Column:
-        """The exact condition on the base column."""
+    def on_column(self, dim: Dim) -> str:
+        """The exact condition on the base column, as SQL text."""
         # exact decimals on both sides, so that 0.07 as a double meets 0.07 as a bound
-        col = F.col(self.name).cast(f"decimal(28,{max(dim.scale, 6) if dim.continuous else dim.scale})") if dim.kind == "decimal" else F.col(self.name)
-        out = F.lit(True)
-        for value, closed, low in ((self.lo, self.lo_closed, True), (self.hi, self.hi_closed, False)):
+        col = f"CAST(`{self.name}` AS DECIMAL(28,{max(dim.scale, 6) if dim.continuous else dim.scale}))" if dim.kind == "decimal" else f"`{self.name}`"
+        out = []
+        for value, op in ((self.lo, ">=" if self.lo_closed else ">"), (self.hi, "<=" if self.hi_closed else "<")):
             if value is None:
                 continue
             if dim.kind == "decimal":
-                bound = F.lit(str(value)).cast("decimal(28,9)")
-            elif isinstance(value, datetime):
-                bound = F.lit(value).cast("timestamp_ntz")
-            elif dim.kind == "date":
-                bound = F.lit(value if isinstance(value, date) else date.fromisoformat(value))
-            else:
-                bound = F.lit(value)
-            if low:
-                out = out & (col >= bound if closed else col > bound)
+                bound = f"CAST('{value}' AS DECIMAL(28,9))"
+            elif dim.kind == "date" and not isinstance(value, date):
+                bound = _sql(date.fromisoformat(value))
             else:
-                out = out & (col <= bound if closed else col < bound)
-        return out
+                bound = _sql(value)
+            out.append(f"{col} {op} {bound}")
+        return " AND ".join(out) or "true"
 
 
 @dataclass(frozen=True)
@@ -135,46 +130,75 @@ class PredicateBox:
     def is_empty(self) -> bool:
         return any((i.t_lo is not None and i.t_hi is not None and i.t_lo >= i.t_hi) or (i.g_lo is not None and i.g_hi is not None and i.g_lo > i.g_hi) for i in self.intervals.values())
 
-    def related(self) -> Column:
+    def related_sql(self) -> str:
         """Cells that may hold matching rows. A NULL coordinate fails on constrained dimensions only."""
-        return _all([_within(F.col(f"g_{n}"), i.g_lo, i.g_hi) for n, i in self.intervals.items()])
+        return _all([_within(n, i.g_lo, i.g_hi) for n, i in self.intervals.items()])
 
-    def inner(self) -> Column:
+    def inner_sql(self) -> str:
         """Cells all of whose rows match; dimensions left free constrain nothing."""
-        return _all([_within(F.col(f"g_{n}"), i.in_lo, i.in_hi) for n, i in self.intervals.items()])
+        return _all([_within(n, i.in_lo, i.in_hi) for n, i in self.intervals.items()])
+
+    def rim_sql(self) -> str:
+        """Related cells that are not inner, as a union of disjoint boxes.
+
+        Each box takes one side of one dimension beyond the inner range, the dimensions before it within
+        their inner ranges and those after it within their related ones. Boxes of plain comparisons are
+        what the Parquet reader tests against the statistics of row groups and pages; a negation is not.
+        """
+        if not self.has_inner:
+            return self.related_sql()
+        names, boxes = list(self.intervals), []
+        for k, n in enumerate(names):
+            i = self.intervals[n]
+            before = [_within(m, self.intervals[m].in_lo, self.intervals[m].in_hi) for m in names[:k]]
+            after = [_within(m, self.intervals[m].g_lo, self.intervals[m].g_hi) for m in names[k + 1 :]]
+            if i.in_lo is not None and i.g_lo < i.in_lo:
+                boxes.append(_all([*before, _within(n, i.g_lo, i.in_lo - 1), *after]))
+            if i.in_hi is not None and i.in_hi < i.g_hi:
+                boxes.append(_all([*before, _within(n, i.in_hi + 1, i.g_hi), *after]))
+        return " OR ".join(f"({b})" for b in boxes) or "false"
 
     @property
     def has_inner(self) -> bool:
         return all(i.in_lo is None or i.in_hi is None or i.in_lo <= i.in_hi for i in self.intervals.values())
 
-    def rows(self) -> Column:
+    def rows_sql(self) -> str:
         """The exact condition on rows, without the residual."""
-        return _all([r.on_column(self.policy.dim(r.name)) for r in self.ranges])
+        return _all([f"({r.on_column(self.policy.dim(r.name))})" for r in self.ranges])
 
-    def inner_observed(self) -> Column:
+    def inner_observed_sql(self) -> str:
         """Inner by each entry's observed lowest and highest ticks; exact whatever the rounding."""
         out = []
         for n, i in self.intervals.items():
             if self.policy.dim(n).cut_points or self.policy.dim(n).continuous:
-                out.append(_within(F.col(f"g_{n}"), i.in_lo, i.in_hi))
+                out.append(_within(n, i.in_lo, i.in_hi))
                 continue
             if i.t_lo is not None:
-                out.append(F.col(f"dim_min_{n}") >= i.t_lo)
+                out.append(f"dim_min_{n} >= {i.t_lo}")
             if i.t_hi is not None:
-                out.append(F.col(f"dim_max_{n}") < i.t_hi)
+                out.append(f"dim_max_{n} < {i.t_hi}")
         return _all(out)
 
-    def overlap_observed(self) -> Column:
+    def overlap_observed_sql(self) -> str:
         out = []
         for n, i in self.intervals.items():
             if self.policy.dim(n).cut_points:
                 continue
             if i.t_lo is not None:
-                out.append(F.col(f"dim_max_{n}") >= i.t_lo)
+                out.append(f"dim_max_{n} >= {i.t_lo}")
             if i.t_hi is not None:
-                out.append(F.col(f"dim_min_{n}") < i.t_hi)
+                out.append(f"dim_min_{n} < {i.t_hi}")
         return _all(out)
 
+    def related(self) -> Column:
+        return F.expr(self.related_sql())
+
+    def inner(self) -> Column:
+        return F.expr(self.inner_sql())
+
+    def rows(self) -> Column:
+        return F.expr(self.rows_sql())
+
     def disjoint_from(self, other: PredicateBox) -> bool:
         for n, a in self.intervals.items():
             b = other.intervals.get(n)
@@ -187,17 +211,17 @@ class PredicateBox:
         return False
 
 
-def _within(col: Column, lo: int | None, hi: int | None) -> Column:
-    out = col.isNotNull()
+def _within(name: str, lo: int | None, hi: int | None) -> str:
+    out = [f"g_{name} IS NOT NULL"]
     if lo is not None:
-        out = out & (col >= lo)
+        out.append(f"g_{name} >= {lo}")
     if hi is not None:
-        out = out & (col <= hi)
-    return out
+        out.append(f"g_{name} <= {hi}")
+    return " AND ".join(out)
 
 
-def _all(terms: list[Column]) -> Column:
-    return reduce(lambda a, b: a & b, terms, F.lit(True))
+def _all(terms: list[str]) -> str:
+    return " AND ".join(terms) or "true"
 
 
 def make_box(policy: SplitPolicy, terms: Sequence[Range], residual: str | None = None) -> PredicateBox:
@@ -206,7 +230,7 @@ def make_box(policy: SplitPolicy, terms: Sequence[Range], residual: str | None =
     kept, rest = [], [residual] if residual else []
     for r in terms:
         if r.name not in policy:
-            rest += [f"{r.name} {op} {_sql(v)}" for v, op in ((r.lo, ">=" if r.lo_closed else ">"), (r.hi, "<=" if r.hi_closed else "<")) if v is not None]
+            rest += [f"`{r.name}` {op} {_sql(v)}" for v, op in ((r.lo, ">=" if r.lo_closed else ">"), (r.hi, "<=" if r.hi_closed else "<")) if v is not None]
             continue
         kept.append(r)
         new = normalise(r, policy.dim(r.name))
@@ -225,10 +249,16 @@ def _meet(a: int | None, b: int | None, low: bool) -> int | None:
 
 def _sql(v: Any) -> str:
     if isinstance(v, datetime):
-        return f"timestamp_ntz'{v}'"
+        return f"TIMESTAMP_NTZ'{v}'"
     if isinstance(v, date):
-        return f"date'{v}'"
-    return repr(v) if isinstance(v, str) else str(v)
+        return f"DATE'{v}'"
+    if isinstance(v, str):
+        return "'" + v.replace("\\", "\\\\").replace("'", "\\'") + "'"
+    if isinstance(v, float):
+        return f"CAST('{v}' AS DOUBLE)"
+    if isinstance(v, Decimal):
+        return f"CAST('{v}' AS DECIMAL(38,{max(0, -v.as_tuple().exponent)}))"
+    return str(v)
 
 
 def complete_box(box: PredicateBox, bounds: dict[str, tuple[int | None, int | None]]) -> dict[str, tuple[Any, Any]]:

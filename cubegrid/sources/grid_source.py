@@ -1,6 +1,7 @@
-"""A grid behind ``spark.read.format("cubegrid")``: range filters pushed to it choose files and rows.
+"""A grid behind ``spark.read.format("cubegrid")``: range filters pushed to it choose row ranges of files.
 
-Rows pass through Python, so this serves tools and moderate tables; the planner in ``plans`` is the
+The catalog is filtered by the pushed ranges; each file becomes one partition with the joined row
+ranges of its related cells, and only row groups that meet a range are opened. Rows pass through Python, so this serves tools and moderate tables; the planner in ``plans`` is the
 way for large ones. Needs spark.sql.python.filterPushdown.enabled (off by default in Spark).
 """
 
@@ -19,9 +20,9 @@ _OPS = {GreaterThan: ">", GreaterThanOrEqual: ">=", LessThan: "<", LessThanOrEqu
 
 
 class _File(InputPartition):
-    def __init__(self, path: str):
+    def __init__(self, path: str, ranges: list[tuple[int, int]]):
         super().__init__(path)
-        self.path = path
+        self.path, self.ranges = path, ranges
 
 
 def _open(path: str):
@@ -53,19 +54,44 @@ class CubeGridReader(DataSourceReader):
 
         system, root = _open(self.path)
         base = f"{root}/catalog/gen={self.meta['generation']}"
-        files: set[str] = set()
-        for b in self.meta["batches"]:
-            entries = ds.dataset(f"{base}/batch={b}", filesystem=system, format="parquet")
-            files.update(entries.to_table(columns=["file"], filter=_expression(self._limits())).column("file").to_pylist())
-        return [_File(f) for f in sorted(files)]
+        found: dict[str, list[tuple[int, int]]] = {}
+        for segment in self.meta["segments"]:
+            entries = ds.dataset(f"{base}/seg={segment}", filesystem=system, format="parquet")
+            for batch in entries.to_batches(columns=["file", "row_start", "n"], filter=_expression(self._limits())):
+                for file, start, n in zip(*(batch.column(c).to_pylist() for c in ("file", "row_start", "n")), strict=True):
+                    found.setdefault(file, []).append((start, start + n))
+        return [_File(f, _joined(found[f])) for f in sorted(found)]
 
     def read(self, partition: _File):
-        import pyarrow.dataset as ds
+        import pyarrow.parquet as pq
 
         system, own = _open(partition.path)
         columns = StructType.fromJson(self.meta["schema"]).fieldNames()
-        # the file alone, not the folder it lies in: names of folders add no columns
-        yield from ds.dataset(own, filesystem=system, format="parquet").to_batches(columns=columns, filter=_expression(self._limits()))
+        with system.open_input_file(own) as stream:
+            file = pq.ParquetFile(stream)
+            first = 0
+            for g in range(file.num_row_groups):
+                last = first + file.metadata.row_group(g).num_rows
+                inside = [(max(a, first), min(b, last)) for a, b in partition.ranges if a < last and first < b]
+                at = first
+                if inside:
+                    for batch in file.iter_batches(row_groups=[g], columns=columns):
+                        for a, b in inside:
+                            lo, hi = max(a - at, 0), min(b - at, batch.num_rows)
+                            if lo < hi:
+                                yield batch.slice(lo, hi - lo)
+                        at += batch.num_rows
+                first = last
+
+
+def _joined(ranges: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(ranges):
+        if out and a <= out[-1][1]:
+            out[-1] = (out[-1][0], max(b, out[-1][1]))
+        else:
+            out.append((a, b))
+    return out
 
 
 def _expression(limits: dict[str, tuple[int | None, int | None]]):
@@ -84,8 +110,11 @@ class CubeGridSource(DataSource):
         return "cubegrid"
 
     def _meta(self) -> dict:
+        from pyarrow import fs
+
         system, root = _open(self.options["path"])
-        with system.open_input_stream(f"{root}/policy.json") as f:
+        versions = [f.path for f in system.get_file_info(fs.FileSelector(f"{root}/meta")) if f.base_name.startswith("v") and f.base_name.endswith(".json")]
+        with system.open_input_stream(max(versions)) as f:
             return json.loads(f.read())
 
     def schema(self) -> StructType:

@@ -95,13 +95,13 @@ def test_cut_dimensions_against_brute_force(points, lo, hi, lc, hc):
         assert all(rows) or not (inner and related)
 
 
-def test_statements():
+def test_statements(spark):
     c = parse_create("CREATE GRID g ON TABLE t DIMENSIONS (a, x, day) PROPERTIES ('a'='1_3', 'x'='0_0.01', 'day'='1995-01-01_100d', 'precompute'='sum(p*q), count(p), max(p)')")
     assert [d.kind for d in c.policy.dims] == ["int", "decimal", "date"] and [h.kind for h in c.headers] == ["sum", "count", "max"]
     q = parse_select("SELECT sum(p * q) AS r, count(*) FROM t WHERE a BETWEEN 3 AND 7 AND x >= 0.05 AND day < '1998-01-01' AND name = 'a and b' GROUP BY day", c.policy)
-    assert len(q.ranges) == 3 and q.residual == "(name = 'a and b')" and q.group == ("day",) and q.aggs[0].alias == "r"
+    assert len(q.ranges) == 3 and q.residual == "((name = 'a and b'))" and q.group == ("day",) and q.aggs[0].alias == "r"
     ranges, rest = extract_ranges("a > 1 and (b = 2 or b = 3)", c.policy)
-    assert len(ranges) == 1 and rest == "((b = 2 or b = 3))"
+    assert len(ranges) == 1 and rest == "(((b = 2) OR (b = 3)))"
     for bad in ("CREATE GRID x", "CREATE GRID g ON TABLE t DIMENSIONS (a) PROPERTIES ('b'='0_1')"):
         with pytest.raises(ValueError):
             parse_create(bad)

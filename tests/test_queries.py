@@ -56,17 +56,17 @@ def test_joins_take_every_row(spark, tmp_path):
     spark.createDataFrame([(k,) for k in suppliers], "s_suppkey long").write.parquet(f"{tmp_path}/supplier.parquet")
     spark.createDataFrame(orders, "o_orderkey long, o_custkey long, o_orderdate timestamp_ntz").write.parquet(f"{tmp_path}/orders.parquet")
     spark.createDataFrame(events, "event_id long, user_id long, ts timestamp_ntz").write.parquet(f"{tmp_path}/events.parquet")
-    full = catalogue.QUERIES["op_join_full_all"](spark, str(tmp_path)).collect()
+    full = catalogue.QUERIES["op_join_full"](spark, str(tmp_path)).collect()
     assert sorted(map(tuple, full)) == sorted((k, k not in customers, k not in suppliers) for k in {*customers, *suppliers})
-    asof = {r.o_orderkey: r.event_id for r in catalogue.QUERIES["op_join_asof_all"](spark, str(tmp_path)).collect()}
+    asof = {r.o_orderkey: r.event_id for r in catalogue.QUERIES["op_join_asof"](spark, str(tmp_path)).collect()}
     want = {k: max(((ts, e) for e, user, ts in events if user == who and ts <= day + timedelta(days=9516)), default=(None, None))[1] for k, who, day in orders}
     assert asof == want and len(asof) == 23 and {None} < set(asof.values())
 
 
 def test_joins_take_every_row_of_the_tables(spark):
     at = {t: spark.read.parquet(f"{SF001}/{t}.parquet").count() for t in ("customer", "orders")}
-    assert catalogue.QUERIES["op_join_full_all"](spark, SF001).where("not only_supplier").count() == at["customer"]
-    assert catalogue.QUERIES["op_join_asof_all"](spark, SF001).count() == at["orders"]
+    assert catalogue.QUERIES["op_join_full"](spark, SF001).where("not only_supplier").count() == at["customer"]
+    assert catalogue.QUERIES["op_join_asof"](spark, SF001).count() == at["orders"]
 
 
 SF1 = "/root/testdata/sf0.1"  # 100,000 events
@@ -98,3 +98,42 @@ def test_without_llm(monkeypatch):
     finally:
         monkeypatch.undo()
         importlib.reload(e)
+
+
+def test_except_and_unoracled_rows(spark):
+    """What has no SQL, against exact values."""
+    q = catalogue.QUERIES
+    assert q["op_except"](spark, SF01).count() > 0
+    exact = workloads.meter(spark, SF01)
+    for r in q["op_coalesce_ranges"](spark, SF01).collect():
+        assert r["ranges"] > 0 and r["rows"] > 0
+    reads = {(r.method, r.query): r.records_read for r in workloads.reads_group_meter(spark, SF01).collect()}
+    assert sum(r["rows"] for r in q["op_coalesce_ranges"](spark, SF01).collect()) == reads[("grid_m", "p05")]
+    shares = {r.event_type: r["count"] for r in exact.groupBy("event_type").count().collect()}
+    for r in q["op_sample"](spark, SF01).collect():
+        assert abs(r.n - 0.1 * shares[r.event_type]) < 5 * (0.09 * shares[r.event_type]) ** 0.5
+    sizes = {r.method: (r.bytes, r.index_rows) for r in q["measure_index_bytes"](spark, SF01).collect()}
+    entries = {r.method: r.entries for r in q["grid_entry_counts"](spark, SF01).collect()}
+    assert all(sizes[m][1] >= entries[m] and sizes[m][0] > 0 for m in workloads.GRIDS)
+    assert sizes["grid_l"][0] < sizes["grid_m"][0] < sizes["grid_s"][0] and sizes["compact_2d"][0] < sizes["compact_3d"][0]
+
+
+def test_policy_advisor_costs(spark):
+    """The modelled costs, from cells and rows counted one by one."""
+    import duckdb
+
+    con = oracle.connect(SF01)
+    want = []
+    for k in (1, 5, 25, 100):
+        w = workloads._WIDTHS[False]["s"] * k
+        total = 0.0
+        for sel in workloads.SELECTIVITIES:
+            u, r, d = workloads._BOXES[False][sel]
+            others = f"region_id > {r[0]} AND region_id < {r[1]} AND day > DATE '2024-01-{d[0]:02d}' AND day < DATE '2024-01-{d[1]:02d}'"
+            rel = f"user_id // {w} BETWEEN {(u[0] + 1) // w} AND {(u[1] - 1) // w} AND {others}"
+            rim = f"{rel} AND NOT (user_id // {w} >= {-(-(u[0] + 1) // w)} AND user_id // {w} < {u[1] // w})"
+            one = lambda what, where: con.sql(f"WITH {workloads.METER} SELECT {what} FROM meter WHERE {where}").fetchone()[0]
+            total += one(f"count(DISTINCT (user_id // {w}, region_id, day))", rel) + 0.02 * 0.5 * (one("count(*)", rim) + one("count(*)", rel))
+        want.append(total)
+    got = sorted(r.cost for r in catalogue.QUERIES["policy_advisor"](spark, SF01).collect())
+    assert isinstance(con, duckdb.DuckDBPyConnection) and got == pytest.approx(sorted(want))
