@@ -54,6 +54,40 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def fresh(taken: list[str], *names: str) -> list[str]:
+    """Names like the given ones that clash with no column in ``taken``, whatever the case."""
+    lower, out = {c.lower() for c in taken}, []
+    for n in names:
+        while n.lower() in lower:
+            n += "_"
+        lower.add(n.lower())
+        out.append(n)
+    return out
+
+
+#: Keys that are met by broadcast in ``join_hot``: the heaviest ones, so that none left is above this share.
+HOT_KEYS = 1000
+
+
+def join_hot(rows: DataFrame, classes: DataFrame, keys: list[str], weight: str, how: str = "inner") -> DataFrame:
+    """Join rows with a table of one row per key, when one key may bear a large share of the rows.
+
+    The ``HOT_KEYS`` keys of greatest ``weight`` (rows per key, a column of ``classes`` that is dropped) are
+    broadcast; as many rows, so of bounded size. Every other key bears less than that share of all rows and is
+    shuffled; rows of hot keys are dealt evenly in the same shuffle. Keys are never null in ``classes``.
+    """
+    others = [c for c in classes.columns if c not in keys and c != weight]
+    key_of = lambda frame: [F.col(k).alias(f"__k_{k}") for k in keys]  # noqa: E731, ARG005
+    hot = classes.orderBy(F.desc(weight), *keys).limit(HOT_KEYS).select(*key_of(classes), *[F.col(c).alias(f"__hot_{c}") for c in others], F.lit(True).alias("__hot"))
+    cold = classes.select(*key_of(classes), *[F.col(c).alias(f"__cold_{c}") for c in others], F.lit(0).alias("__deal0"), F.lit(True).alias("__cold"))
+    met = rows.join(F.broadcast(hot), [F.col(k) == F.col(f"__k_{k}") for k in keys], "left").drop(*[f"__k_{k}" for k in keys])
+    met = met.withColumn("__deal", F.when(F.col("__hot"), 1 + F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in rows.columns]), F.lit(1 << 20))).otherwise(0).cast("int"))
+    met = met.join(cold, [*[F.col(k) == F.col(f"__k_{k}") for k in keys], F.col("__deal") == F.col("__deal0")], "left")
+    if how == "inner":
+        met = met.where(F.col("__hot") | F.col("__cold"))
+    return met.select(*[F.col(f"`{c}`") for c in rows.columns], *[F.when(F.col("__hot"), F.col(f"__hot_{c}")).otherwise(F.col(f"__cold_{c}")).alias(c) for c in others])
+
+
 def slices(batches: Iterator[pa.RecordBatch], col: str, max_bytes: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """Cut record batches so that the texts of each slice hold about ``max_bytes`` (one row at least)."""
     for batch in batches:

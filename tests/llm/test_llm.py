@@ -310,6 +310,34 @@ def test_suffix_array_order(spark):
     assert line_dedup.dedup_lines(d.limit(0)).count() == 0
 
 
+def test_repeated_runs(docs, spark):
+    """Runs are true copies of their sources, cover all later windows of two, and long passages come out whole."""
+    rng = random.Random(8)
+    passage = [prose(rng, 4) for _ in range(23)]
+    more = spark.createDataFrame([(10**6, "\n".join([prose(rng, 5), *passage, prose(rng, 5)])), (10**6 + 1, "\n".join([*passage, "", prose(rng, 6)])), (10**6 + 2, "\n".join(passage[3:17]))], "doc_id long, text string")
+    both = docs.select("doc_id", "text").unionByName(more)
+    texts = {r.doc_id: r.text for r in both.collect() if r.text}
+    seq = {d: [x.strip(" ") for x in t.split("\n") if x.strip(" ")] for d, t in texts.items()}
+    runs = line_dedup.repeated_runs(both).collect()
+    covered = defaultdict(set)
+    for r in runs:
+        assert r.lines >= 2 and (r.source_d, r.source_start) < (r.d, r.start)
+        assert seq[r.d][r.start : r.start + r.lines] == seq[r.source_d][r.source_start : r.source_start + r.lines]
+        covered[r.d].update(range(r.start, r.start + r.lines))
+    firsts, seen, want = {}, set(), defaultdict(set)
+    for d in sorted(seq):
+        copy = texts[d] in firsts and len(seq[d]) > 1
+        firsts.setdefault(texts[d], d)
+        for i in range(len(seq[d]) - 1):
+            pair = (seq[d][i], seq[d][i + 1])
+            if pair in seen and not copy:
+                want[d].update((i, i + 1))
+            seen.add(pair)
+    assert dict(covered) == dict(want)
+    planted = {(r.d, r.start, r.lines, r.source_d, r.source_start) for r in runs if r.d >= 10**6}
+    assert planted == {(10**6 + 1, 0, 23, 10**6, 1), (10**6 + 2, 0, 14, 10**6, 4)}
+
+
 # ---- near duplicates ------------------------------------------------------------------------------------------------
 
 
