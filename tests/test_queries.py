@@ -132,7 +132,7 @@ def test_policy_advisor_costs(spark):
             others = f"region_id > {r[0]} AND region_id < {r[1]} AND day > DATE '2024-01-{d[0]:02d}' AND day < DATE '2024-01-{d[1]:02d}'"
             rel = f"user_id // {w} BETWEEN {(u[0] + 1) // w} AND {(u[1] - 1) // w} AND {others}"
             rim = f"{rel} AND NOT (user_id // {w} >= {-(-(u[0] + 1) // w)} AND user_id // {w} < {u[1] // w})"
-            one = lambda what, where: con.sql(f"WITH {workloads.METER} SELECT {what} FROM meter WHERE {where}").fetchone()[0]
+            one = lambda what, where: con.sql(f"WITH {workloads.METER} SELECT {what} FROM meter WHERE {where}").fetchall()[0][0]
             total += one(f"count(DISTINCT (user_id // {w}, region_id, day))", rel) + 0.02 * 0.5 * (one("count(*)", rim) + one("count(*)", rel))
         want.append(total)
     got = sorted(r.cost for r in catalogue.QUERIES["policy_advisor"](spark, SF01).collect())
