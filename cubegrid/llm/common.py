@@ -105,16 +105,19 @@ def texts(batch: pa.RecordBatch, col: str = "text") -> list[str | None]:
 
 
 class WordIds(dict):
-    """64-bit hash of each word, computed once; cleared when large so that memory stays bounded."""
+    """64-bit hash of each word, computed once; cleared when large so that memory stays bounded. Very long
+    words are not kept."""
 
-    LIMIT = 300_000
+    LIMIT, LONGEST = 300_000, 64
 
     def __missing__(self, word: str) -> int:
         from xxhash import xxh3_64_intdigest
 
-        if len(self) >= self.LIMIT:
-            self.clear()
-        self[word] = value = xxh3_64_intdigest(word.encode("utf-8", "surrogatepass"))
+        value = xxh3_64_intdigest(word.encode("utf-8", "surrogatepass"))
+        if len(word) <= self.LONGEST:
+            if len(self) >= self.LIMIT:
+                self.clear()
+            self[word] = value
         return value
 
     def array(self, words: list[str]) -> np.ndarray:

@@ -1,7 +1,8 @@
 """Connected components of an edge table by alternating large and small stars.
 
-Each round points the neighbours of every vertex at the smallest vertex near it; degrees of hubs
-are met as partial minima and skew-split joins, never as one collected group. Rounds are written
+Each round points the neighbours of every vertex at the smallest vertex near it. Minima of hubs are
+taken in parts, and they meet their edges again in a join that deals the edges of the hubs over all
+tasks, so no vertex is one task's or one group. Rounds are written
 to the shared folder, and nothing but a count and a checksum reaches the driver.
 """
 
@@ -10,18 +11,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubegrid.llm.common import stored
+from cubegrid.llm.common import join_hot, stored
 
 
 def _star(edges: DataFrame, large: bool) -> DataFrame:
     """edges: u, v with u > v. Large: larger neighbours to the minimum; small: smaller ones and itself."""
     if large:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        out = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        least = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
+        out = join_hot(both.where("v > u"), least, ["u"], "n").select(F.col("v").alias("u"), F.col("m").alias("v"))
     else:
-        least = edges.groupBy("u").agg(F.min("v").alias("m"))
-        out = edges.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v")))
+        least = edges.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+        out = join_hot(edges, least, ["u"], "n").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v")))
     return out.where("u != v").distinct()
 
 

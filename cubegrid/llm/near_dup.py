@@ -6,10 +6,15 @@
 2. Representatives meet in buckets of equal band hash. Buckets up to ``small`` members give pairs,
    which are made distinct and verified on the full sets of both sides.
 3. Members of larger buckets are put into families (connected by such buckets), families are cut
-   into blocks, and each pair of blocks is one group in which all pairs are compared as a matrix
+   into blocks, and each pair of blocks is one group in which pairs are compared as a matrix
    product: what leaves it is one link count per member and a spanning forest, never all pairs.
 4. Links give classes by distributed connected components.
 
+A link is a pair that shares a band and whose full sets reach the threshold: families count
+the same pairs as small buckets do, so ``small`` and ``block`` change the cost and never the result. Texts
+are not shuffled: the sets of the representatives that are compared are made where their texts lie, found
+by a bitmap of their ids (of at most ``_MOST_BITS`` bits; too full a bitmap costs work, not results).
+
 Families cost blocks x members of shipped sets, so a family of very many different texts that all
 share a band is the expensive case; copies of equal sets never are.
 
@@ -26,10 +31,10 @@ from functools import cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cubegrid.llm.common import WordIds, mix64, slices, stored, tame_arrow, texts, words_of
+from cubegrid.llm.common import WordIds, fresh, join_hot, mix64, slices, stored, tame_arrow, texts, words_of
 from cubegrid.llm.components import components
 
 SHINGLE = 5
@@ -91,7 +96,7 @@ def set_key(text: str | None, shingles: np.ndarray, serial: bytes) -> bytes:
 
 def signatures(docs: DataFrame, text: str, doc_id: str, bands: int, rows: int) -> DataFrame:
     """d, h (hash of the text), key, n (shingles) and bands of every row."""
-    narrow = docs.select(F.col(doc_id).cast("long").alias("d"), F.xxhash64(text).alias("h"), F.col(text).alias("text"), F.monotonically_increasing_id().alias("u"))
+    narrow = docs.select(F.col(f"`{doc_id}`").cast("long").alias("d"), F.xxhash64(F.col(f"`{text}`")).alias("h"), F.col(f"`{text}`").alias("text"), F.monotonically_increasing_id().alias("u"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids = WordIds()
@@ -107,23 +112,51 @@ def signatures(docs: DataFrame, text: str, doc_id: str, bands: int, rows: int) -
     return narrow.mapInArrow(run, "d long, h long, key binary, n int, bands array<long>")
 
 
+#: Bits of the bitmap of wanted ids: sixteen for each id, within these bounds (128 MB).
+_LEAST_BITS, _MOST_BITS = 1 << 20, 1 << 30
+
+
+def _bitmap(ids: DataFrame, bits: int) -> np.ndarray:
+    """Bytes of a bitmap in which the slot of every id (column d) is set, built in parts of 32,768 bits."""
+    slot = _slot(F.col("d"), bits)
+    parts = ids.groupBy(F.bitmap_bucket_number(slot).alias("part")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(slot)).alias("bits"))
+    out = np.zeros(bits // 8 + 4096, np.uint8)
+    for part, found in parts.toLocalIterator():
+        at = (part - 1) * 4096
+        out[at : at + 4096] |= np.frombuffer(found, np.uint8)
+    return out
+
+
+def _slot(d: Column, bits: int) -> Column:
+    return F.pmod(F.xxhash64(d), F.lit(bits)) + 1
+
+
 def _sets(docs: DataFrame, wanted: DataFrame, text: str, doc_id: str) -> DataFrame:
     """(key, shingles) of the representatives in ``wanted`` (key, d): one row each."""
-    body = docs.select(F.col(doc_id).cast("long").alias("d2"), F.col(text).alias("text")).where("text is not null")
-    rows = body.join(wanted, F.col("d2").eqNullSafe(F.col("d"))).select("key", "text")
+    n = wanted.count()
+    bits = min(max(_LEAST_BITS, 1 << (16 * n).bit_length()), _MOST_BITS)
+    shared = docs.sparkSession.sparkContext.broadcast(_bitmap(wanted, bits))
+    body = docs.select(F.col(f"`{doc_id}`").cast("long").alias("d"), F.col(f"`{text}`").alias("text")).where("text is not null").withColumn("slot", _slot(F.col("d"), bits) - 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids = WordIds()
-        for part in slices(batches, "text"):
-            keys, out = [], []
-            for k, t in zip(part.column("key").to_pylist(), texts(part), strict=True):
-                s = shingle_set(t, ids)
-                if set_key(t, s, b"") == k:  # another row may bear the same id
-                    keys.append(k)
+        ids, bitmap = WordIds(), shared.value
+        for batch in batches:
+            slot = batch.column("slot").to_numpy(zero_copy_only=False)
+            hit = bitmap[slot >> 3] >> (slot & 7).astype(np.uint8) & 1
+            for part in slices(iter([batch.filter(pa.array(hit.astype(bool)))]), "text"):
+                ds, keys, out = [], [], []
+                for d, t in zip(part.column("d").to_pylist(), texts(part), strict=True):
+                    s = shingle_set(t, ids)
+                    ds.append(d)
+                    keys.append(set_key(t, s, b""))
                     out.append(s.tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(out, pa.binary())], names=["key", "shingles"])
+                yield pa.RecordBatch.from_arrays([pa.array(ds, pa.int64()), pa.array(keys, pa.binary()), pa.array(out, pa.binary())], names=["d", "key", "shingles"])
 
-    return rows.mapInArrow(run, "key binary, shingles binary").dropDuplicates(["key"])
+    made = body.mapInArrow(run, "d long, key binary, shingles binary")
+    asked = wanted.select(F.col("key").alias("k2"), F.col("d").alias("d2"))
+    # another row may bear the same id, or an id that falls on a wanted slot
+    met = made.join(asked, (F.col("key") == F.col("k2")) & F.col("d").eqNullSafe(F.col("d2")), "left_semi")
+    return met.groupBy("key").agg(F.first("shingles").alias("shingles"))
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
@@ -143,10 +176,10 @@ def _verified(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(run, "a binary, b binary")
 
 
-def block_links(keys: list[bytes], copies: np.ndarray, sets: list[np.ndarray], side: np.ndarray, threshold: float, portion: int = 4096) -> tuple[np.ndarray, list[tuple[int, int]]]:
+def block_links(keys: list[bytes], copies: np.ndarray, sets: list[np.ndarray], side: np.ndarray, threshold: float, bands: np.ndarray, portion: int = 4096) -> tuple[np.ndarray, list[tuple[int, int]]]:
     """Within a pair of blocks: links of each member (weighted by copies) and a spanning forest.
 
-    ``side`` is 0 or 1; pairs within one side belong to another group unless all are of side 0.
+    ``bands`` holds the band hashes of each member in a row; a link needs one in common. ``side`` is 0 or 1; pairs within one side belong to another group unless all are of side 0.
     """
     n = len(keys)
     sizes = np.asarray([len(s) for s in sets], np.int64)
@@ -182,6 +215,10 @@ def block_links(keys: list[bytes], copies: np.ndarray, sets: list[np.ndarray], s
         both += left @ right.T
     union = sizes[a][:, None] + sizes[b][None, :] - both
     linked = both >= threshold * union - 1e-9
+    meet = np.zeros_like(linked)
+    for c in range(bands.shape[1]):
+        meet |= bands[a, c][:, None] == bands[b, c][None, :]
+    linked &= meet
     if one:
         np.fill_diagonal(linked, False)
     links = np.zeros(n, np.int64)
@@ -217,9 +254,9 @@ def _family_links(families: DataFrame, sets: DataFrame, reps: DataFrame, thresho
     """One row per (key, weighted links) or (key, other) of a spanning forest, from all block pairs."""
     sizes = families.groupBy("family").agg(F.count("*").alias("size"))
     own = families.join(sizes, "family").withColumn("blocks", F.ceil(F.col("size") / block).cast("int")).withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
-    full = own.join(sets, "key").join(reps.select("key", "copies"), "key")
-    tasks = full.select("key", "family", "shingles", "copies", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    tasks = tasks.select("key", "shingles", "copies", "family", "own", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"))
+    full = own.join(sets, "key").join(reps.select("key", "copies", "bands"), "key")
+    tasks = full.select("key", "family", "shingles", "copies", "bands", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    tasks = tasks.select("key", "shingles", "copies", "bands", "family", "own", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"))
 
     def run(group: pa.Table) -> pa.Table:
         group = group.sort_by("key")
@@ -227,7 +264,7 @@ def _family_links(families: DataFrame, sets: DataFrame, reps: DataFrame, thresho
         sets_ = [np.frombuffer(x, np.uint64) for x in group.column("shingles").to_pylist()]
         p, q = group.column("p")[0].as_py(), group.column("q")[0].as_py()
         side = np.zeros(len(keys), np.int64) if p == q else (group.column("own").to_numpy() == q).astype(np.int64)
-        links, forest = block_links(keys, group.column("copies").to_numpy().astype(np.int64), sets_, side, threshold)
+        links, forest = block_links(keys, group.column("copies").to_numpy().astype(np.int64), sets_, side, threshold, np.asarray(group.column("bands").to_pylist(), np.int64))
         at = np.flatnonzero(links)
         return pa.table(
             {
@@ -245,20 +282,18 @@ def join(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", threshold:
     tame_arrow(docs.sparkSession)
     bands, rows = bands_for(threshold, recall)
     signed = stored(signatures(docs, text, doc_id, bands, rows), "signatures")
-    reps = signed.groupBy("key").agg(F.min("d").alias("d"), F.min(F.struct("d", "h")).alias("first"), F.count("*").alias("copies"), F.any_value("n").alias("n"))
+    reps = signed.groupBy("key").agg(F.min("d").alias("d"), F.min(F.struct("d", "h")).alias("first"), F.count("*").alias("copies"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"))
     reps = stored(reps, "representatives")
-    any_bands = signed.where("n > 0").groupBy("key").agg(F.any_value("bands").alias("bands"))
-    slots = any_bands.select("key", F.explode("bands").alias("slot"))
-    slots = stored(slots, "band-hashes")
-    buckets = slots.groupBy("slot").agg(F.count("*").alias("k"), F.min("key").alias("hub")).where("k > 1")
-    members = stored(slots.join(buckets, "slot"), "buckets")
+    slots = reps.where("n > 0").select("key", F.explode("bands").alias("slot"))
+    buckets = stored(slots.groupBy("slot").agg(F.count("*").alias("k"), F.min("key").alias("hub")).where("k > 1").select("*", F.col("k").alias("weight")), "band-hashes")
+    members = stored(join_hot(slots, buckets, ["slot"], "weight"), "buckets")
     families = stored(_families(members.where(F.col("k") > small)), "families")
     few = members.where(F.col("k") <= small)
     pairs = few.select("slot", F.col("key").alias("a")).join(few.select("slot", F.col("key").alias("b")), "slot").where("a < b").select("a", "b").distinct()
     fam = families.select(F.col("key").alias("a"), F.col("family").alias("fa")), families.select(F.col("key").alias("b"), F.col("family").alias("fb"))
     pairs = pairs.join(fam[0], "a", "left").join(fam[1], "b", "left").where(F.col("fa").isNull() | F.col("fb").isNull() | (F.col("fa") != F.col("fb"))).select("a", "b")
     pairs = stored(pairs, "pairs")
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("key")).unionByName(families.select("key")).distinct().join(reps.select("key", "d"), "key")
+    wanted = stored(pairs.select(F.explode(F.array("a", "b")).alias("key")).unionByName(families.select("key")).distinct().join(reps.select("key", "d"), "key"), "wanted")
     sets = stored(_sets(docs, wanted, text, doc_id), "shingle-sets")
     links = stored(_verified(pairs, sets, threshold), "links")
     inner = stored(_family_links(families, sets, reps, threshold, block), "family-links")
@@ -269,19 +304,21 @@ def join(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", threshold:
     weighed = ends.join(copies, "key").select(F.col("x").alias("key"), F.col("copies").alias("links")).unionByName(inner.where("other is null").select("key", "links"))
     counted = weighed.groupBy("key").agg(F.sum("links").alias("links"))
     labelled = reps.join(classes.select(F.col("u").alias("key"), F.col("v").alias("root")), "key", "left").withColumn("root", F.coalesce("root", "key"))
-    roots = labelled.groupBy("root").agg(F.min("first").alias("class_first"))
-    table = labelled.join(roots, "root").join(counted, "key", "left").select("key", "root", "class_first", "copies", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("links"))
-    # written, so that the join of all rows has plain shuffles on both sides and Spark may split a key with many copies
-    out = signed.select("d", "h", "key").join(stored(table, "classes"), "key")
+    labelled = stored(labelled.select("key", "first", "copies", "root"), "labelled")
+    roots = labelled.groupBy("root").agg(F.min("first").alias("class_first"), F.count("*").alias("members"))
+    table = join_hot(labelled, roots, ["root"], "members").join(counted, "key", "left").select("key", "root", "class_first", "copies", F.col("copies").alias("weight"), (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("links"))
+    out = join_hot(signed.select("d", "h", "key"), stored(table, "classes"), ["key"], "weight")
     return out.select("d", "h", F.col("class_first.d").alias("class_id"), F.col("copies").alias("n_copies"), F.col("links").alias("n_links"), F.col("root").alias("class_key"), (F.struct("d", "h") == F.col("class_first")).alias("is_first"))
 
 
 def drop_near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **options) -> DataFrame:
     """One row of each class (the one with the least id), with the columns of ``docs``."""
-    firsts = join(docs, text, doc_id, **options).where("is_first").select(F.col("d").alias("__fd"), F.col("h").alias("__fh"), F.col("class_key").alias("__class")).dropDuplicates(["__class"])
-    keyed = docs.withColumn("__h", F.xxhash64(text))
-    kept = keyed.join(firsts, F.col(f"`{doc_id}`").cast("long").eqNullSafe(F.col("__fd")) & (F.col("__h") == F.col("__fh")))
-    return kept.dropDuplicates(["__class"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    found = join(docs, text, doc_id, **options).where("is_first")
+    d, h, c, own = fresh(docs.columns, "first_id", "first_hash", "first_class", "own_hash")
+    firsts = found.select(F.col("d").alias(d), F.col("h").alias(h), F.col("class_key").alias(c)).dropDuplicates([c])
+    keyed = docs.withColumn(own, F.xxhash64(F.col(f"`{text}`")))
+    kept = keyed.join(firsts, F.col(f"`{doc_id}`").cast("long").eqNullSafe(F.col(d)) & (F.col(own) == F.col(h)))
+    return kept.dropDuplicates([c]).select(*[F.col(f"`{x}`") for x in docs.columns])
 
 
 def op2_near_duplicates(spark, sf_dir: str) -> DataFrame:
