@@ -1,7 +1,9 @@
 """WARC archives: a deterministic sharded writer with revisit records, and a streaming reader.
 
-Records are dealt to shards by ranges of page id cut from a byte histogram (so the shards depend
-on the data alone), sorted within a shard, compressed one gzip member per record, and rolled into
+Records are dealt to shards by ranges of (page id, payload digest), cut where the sum of bytes in that
+order passes a multiple of the shard size: the shards depend on the data alone, and neither far-off ids, nor
+one id or no id on very many pages, makes a shard larger than that and one group of equal records. At most
+``_MOST_SHARDS`` cuts of 17 bytes are broadcast (for more data the shards grow). Records are sorted within a shard, compressed one gzip member per record, and rolled into
 a new file when the compressed size passes a limit. Headers, record ids and digests are made anew
 from the content. Each attempt of a task writes temporary names of its own and reports them; the
 reports are stored, and only files they name are renamed into place, so a lost executor, a retry
@@ -27,15 +29,18 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from cubegrid.fs import delete
-from cubegrid.llm.common import shared_path, slices, tame_arrow
+from cubegrid.llm.common import join_hot, shared_path, slices, stored, tame_arrow
 
 _NAMESPACE = uuid.UUID("5f1c1f86-6a0c-5d0e-9d4e-6c1a54b7a0c1")
 _MANIFEST = "shard int, seq int, temp string, name string, records long, bytes long, sha256 string"
-_HISTOGRAM = 4096
+_MOST_SHARDS = 1 << 20
+#: Bytes that headers add to a payload, about.
+_HEAD_BYTES = 400
 
 
 def _open(path: str):
@@ -83,47 +88,88 @@ def _member(raw: bytes, level: int) -> bytes:
     return z.compress(raw) + z.flush()
 
 
-def assign_roles(pages: DataFrame, page_id: str, url: str, html: str, min_bytes: int) -> DataFrame:
+def _body(html: str) -> Column:
+    return F.coalesce(F.col(f"`{html}`"), F.lit("")).cast("binary")
+
+
+def record_keys(pages: DataFrame, page_id: str, html: str) -> DataFrame:
+    """page_id, sha1 and payload bytes of every page: narrow, so it is stored and read as often as needed."""
+    body = _body(html)
+    return pages.select(F.col(f"`{page_id}`").cast("long").alias("page_id"), F.unhex(F.sha1(body)).alias("sha1"), F.octet_length(body).cast("long").alias("size"))
+
+
+def assign_roles(pages: DataFrame, keys: DataFrame, page_id: str, url: str, html: str, min_bytes: int) -> DataFrame:
     """Two kinds of rows: kind 1 is a page (page_id, url, payload, sha1); kind 0 says for a page_id
     and sha1 which page holds the response of that payload (only where several pages have it).
 
     Both go through one shuffle, where a page meets its kind 0 row by sorting, so payloads move once.
-    Groups are counted before they are joined back to narrow rows, so a payload with very many
-    copies meets as partial sums, and the join's large side can be split by Spark's skew handling.
+    Groups are counted before they are joined back to narrow rows, and hot payloads are dealt in that join.
     """
-    body = F.coalesce(F.col(html), F.lit("")).cast("binary")
-    rows = pages.select(F.col(page_id).cast("long").alias("page_id"), F.col(url).cast("string").alias("url"), body.alias("payload"), F.unhex(F.sha1(body)).alias("sha1"))
-    narrow = rows.where(F.octet_length("payload") >= min_bytes).select("page_id", "sha1")
-    groups = narrow.groupBy("sha1").agg(F.max("page_id").alias("response"), F.count("*").alias("n")).where("n > 1").select("sha1", "response")
-    roles = narrow.join(groups, "sha1").select("page_id", F.lit(None).cast("string").alias("url"), F.lit(None).cast("binary").alias("payload"), "sha1", "response", F.lit(0).alias("kind"))
+    body = _body(html)
+    rows = pages.select(F.col(f"`{page_id}`").cast("long").alias("page_id"), F.col(f"`{url}`").cast("string").alias("url"), body.alias("payload"), F.unhex(F.sha1(body)).alias("sha1"))
+    narrow = keys.where(F.col("size") >= min_bytes).select("page_id", "sha1")
+    groups = stored(narrow.groupBy("sha1").agg(F.max("page_id").alias("response"), F.count("*").alias("n")).where("n > 1"), "warc-groups")
+    roles = join_hot(narrow, groups, ["sha1"], "n").select("page_id", F.lit(None).cast("string").alias("url"), F.lit(None).cast("binary").alias("payload"), "sha1", "response", F.lit(0).alias("kind"))
     return rows.select("*", F.lit(None).cast("long").alias("response"), F.lit(1).alias("kind")).unionByName(roles)
 
 
-def _cuts(rows: DataFrame, shard_bytes: int) -> list[int]:
-    """Page ids at which shards begin, from the bytes in equal ranges of id."""
-    lo, hi = rows.agg(F.min("page_id"), F.max("page_id")).first()
-    if lo is None:
-        return []
-    width = max(1, -(-(hi - lo + 1) // _HISTOGRAM))
-    size = rows.where("page_id is not null").groupBy(((F.col("page_id") - lo) / width).cast("long").alias("b")).agg(F.sum(F.octet_length("payload") + 400).alias("bytes"))
-    out, run = [], 0
-    for b, n in sorted((r[0], r[1]) for r in size.collect()):  # _HISTOGRAM rows at most
-        if run and run + n > shard_bytes:
-            out.append(lo + b * width)
-            run = 0
-        run += n
-    return out
+def order_keys(page_id: pa.Array, sha1: pa.Array) -> np.ndarray:
+    """17 bytes per record that sort as (page id, nulls first; first eight bytes of the digest)."""
+    none = page_id.is_null().to_numpy(zero_copy_only=False)
+    ids = pc.fill_null(page_id, 0).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64) ^ np.uint64(1 << 63)
+    out = np.zeros((len(ids), 17), np.uint8)
+    out[:, 0] = ~none
+    out[:, 1:9] = np.where(none, np.uint64(0), ids).astype(">u8").view(np.uint8).reshape(-1, 8)
+    out[:, 9:] = np.frombuffer(b"".join(x[:8] for x in sha1.to_pylist()), np.uint8).reshape(-1, 8)
+    return out.view("S17").ravel()
+
+
+def _cuts(keys: DataFrame, shard_bytes: int) -> np.ndarray:
+    """The least key of every shard, in order (the first is the least of all)."""
+    groups = keys.groupBy("page_id", "sha1").agg(F.sum(F.col("size") + _HEAD_BYTES).alias("size"))
+    order = [F.asc_nulls_first("page_id"), F.col("sha1")]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
+
+        before, part = 0, TaskContext.get().partitionId()
+        for b in batches:
+            size = b.column("size").to_numpy(zero_copy_only=False)
+            run_ = before + np.cumsum(size) - size
+            before += int(size.sum())
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(size), part)), b.column("page_id"), b.column("sha1"), b.column("size"), pa.array(run_)], names=["part", "page_id", "sha1", "size", "before"])
+
+    ordered = stored(groups.repartitionByRange(*order).sortWithinPartitions(*order).select("page_id", "sha1", "size").mapInArrow(run, "part long, page_id long, sha1 binary, size long, before long"), "warc-order")
+    parts = sorted((r[0], r[1]) for r in ordered.groupBy("part").agg(F.sum("size")).collect())  # one row per partition
+    total = sum(n for _, n in parts)
+    if not total:
+        return np.zeros(0, "S17")
+    offsets, at = [], 0
+    for part, n in parts:
+        offsets.append((part, at))
+        at += n
+    first = keys.sparkSession.createDataFrame(offsets, "part long, first long")  # one row per partition again
+    span = max(shard_bytes, -(-total // _MOST_SHARDS))
+    shard = F.expr(f"(first + before) div {span}")
+    least = ordered.join(F.broadcast(first), "part").groupBy(shard.alias("shard")).agg(F.min(F.struct("page_id", "sha1")).alias("k"))
+    found = least.select("shard", "k.page_id", "k.sha1").toArrow()  # _MOST_SHARDS rows at most
+    return np.sort(order_keys(found.column("page_id").combine_chunks(), found.column("sha1").combine_chunks()))
 
 
 def write(pages: DataFrame, path: str, page_id: str = "page_id", url: str = "url", html: str = "html", min_bytes: int = 0, shard_bytes: int = 64 << 20, roll_bytes: int = 16 << 20, level: int = 6, date: str = "2024-01-01T00:00:00Z") -> DataFrame:
     """Write archives under ``path`` and return the manifest: one row per file, final and complete."""
     spark = pages.sparkSession
     tame_arrow(spark)
-    rows = assign_roles(pages, page_id, url, html, min_bytes)
-    plain = pages.select(F.col(page_id).cast("long").alias("page_id"), F.coalesce(F.col(html), F.lit("")).cast("binary").alias("payload"))
-    cuts = _cuts(plain, shard_bytes)
-    shard = F.size(F.filter(F.array(*[F.lit(c) for c in cuts]), lambda c: c <= F.col("page_id"))) if cuts else F.lit(0)
-    dealt = rows.withColumn("shard", F.when(F.col("page_id").isNull(), 0).otherwise(shard).cast("int")).repartitionById(len(cuts) + 1, F.col("shard")).sortWithinPartitions("shard", F.asc_nulls_first("page_id"), "sha1", "kind", "url")
+    keys = stored(record_keys(pages, page_id, html), "warc-keys")
+    rows = assign_roles(pages, keys, page_id, url, html, min_bytes)
+    cuts = _cuts(keys, shard_bytes)
+    shared = spark.sparkContext.broadcast(cuts)
+
+    @F.arrow_udf("int")
+    def shard_of(page: pa.Array, sha1: pa.Array) -> pa.Array:
+        return pa.array(np.maximum(np.searchsorted(shared.value, order_keys(page, sha1), side="right") - 1, 0), pa.int32())
+
+    dealt = rows.withColumn("shard", shard_of("page_id", "sha1")).repartitionById(max(1, len(cuts)), F.col("shard")).sortWithinPartitions("shard", F.asc_nulls_first("page_id"), "sha1", "kind", "url")
     temp = f"{path}/_temporary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -201,6 +201,33 @@ def test_warc_round_trip(spark):
     assert warc.read(warc.write(pages.limit(0), shared_path(spark, "warc-none"))).count() == 0
 
 
+def test_warc_shards_of_skewed_ids(spark):
+    """Far-off ids, one id and no id on very many pages: every shard stays near its size, in order of its keys."""
+    big = 2**63 - 1
+    rows = [(k, None, f"{k}" * 9) for k in range(400)] + [(-big - 1, "lowest", "a"), (big, "highest", "b"), (big - 7, None, "c")]
+    rows += [(250, None, f"one id {k}") for k in range(1500)] + [(None, None, f"no id {k}") for k in range(1500)] + [(251, None, "same") for _ in range(1500)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(5)
+    manifest = warc.write(pages, shared_path(spark, "warc-skew"), shard_bytes=60_000)
+    per = Counter()
+    for r in manifest.collect():
+        per[r.shard] += r.records
+    # about 430 bytes a record; the group of equal records is whole
+    assert sum(per.values()) == len(rows) and len(per) > 20 and sum(n > 200 for n in per.values()) == 1 and max(per.values()) < 1700
+    got = warc.with_digests(warc.read(manifest)).collect()
+    assert Counter(r.page_id for r in got) == Counter(r[0] for r in rows)
+    assert sum(r.record_type == "revisit" for r in got) == 1499
+    order = lambda r: (r.page_id is not None, r.page_id or 0)
+    spans = [(min(map(order, g)), max(map(order, g))) for _, g in sorted(by(got, lambda r: r.path.rsplit("/", 1)[1][:11]).items())]
+    assert all(a[1] <= b[0] for a, b in zip(spans, spans[1:], strict=False))
+
+
+def by(rows, key):
+    out = defaultdict(list)
+    for r in rows:
+        out[key(r)].append(r)
+    return out
+
+
 def test_warc_query(spark):
     assert registry.QUERIES["op3_warc"](spark, SF001).count() == spark.read.parquet(f"{SF001}/pages.parquet").count()
 
