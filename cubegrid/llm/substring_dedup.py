@@ -227,9 +227,10 @@ def _send_stretches(blocks: DataFrame, buckets: int, width: int) -> DataFrame:
     return blocks.mapInArrow(run, "block long, bucket int, m binary, key binary, docs binary")
 
 
-def settle(m: np.ndarray, key: np.ndarray, doc: np.ndarray, crowd: int = CROWD) -> np.ndarray:
-    """Per record: 1 if a smaller document has the stretch, 2 or 3 if its strings must be looked up
-    (3: so many different stretches share the minimizer that they are cut by a longer one)."""
+def settle(m: np.ndarray, key: np.ndarray, doc: np.ndarray, crowd: int = CROWD, by_key: bool = False) -> np.ndarray:
+    """Per record: 0 if no other document has its minimizer, 2 or 3 if its strings must be looked up
+    (3: so many different stretches share the minimizer that they are cut by a longer one). With
+    ``by_key``, 1 if a smaller document has the whole stretch, by the equality of keys."""
     n = len(m)
     order = np.lexsort((doc, key, m))
     m, key, d = m[order], key[order], doc[order]
@@ -239,21 +240,25 @@ def settle(m: np.ndarray, key: np.ndarray, doc: np.ndarray, crowd: int = CROWD)
     least = d[new]  # of each distinct stretch
     group = np.cumsum(new_m[new]) - 1
     opens = np.flatnonzero(new_m[new])
-    lo, hi = np.minimum.reduceat(least, opens), np.maximum.reduceat(least, opens)
+    first = np.flatnonzero(new_m)
+    ends = least if by_key else d  # of which a group must have two that differ
+    at = opens if by_key else first
+    lo, hi = np.minimum.reduceat(ends, at), np.maximum.reduceat(ends, at)
     size = np.diff(np.append(opens, len(least)))
     mixed = np.where(lo < hi, np.where(size > crowd, 3, 2), 0)[group]
-    status = np.where(d > least[kind], 1, mixed[kind]).astype(np.uint8)
+    status = np.where(d > least[kind], 1, mixed[kind]) if by_key else mixed[kind]
+    status = status.astype(np.uint8)
     out = np.empty(n, np.uint8)
     out[order] = status
     return out
 
 
-def _settled(sent: DataFrame, crowd: int) -> DataFrame:
+def _settled(sent: DataFrame, crowd: int, by_key: bool) -> DataFrame:
     def run(group: pa.Table) -> pa.Table:
         m = [_unpack(x, 5) for x in group.column("m").to_pylist()]
         key = [_unpack(x, 7) for x in group.column("key").to_pylist()]
         doc = [np.cumsum(np.frombuffer(zlib.decompress(x), np.int64)) for x in group.column("docs").to_pylist()]
-        status = settle(np.concatenate(m), np.concatenate(key), np.concatenate(doc), crowd)
+        status = settle(np.concatenate(m), np.concatenate(key), np.concatenate(doc), crowd, by_key)
         cuts = starts_of(np.asarray([len(x) for x in m]))
         body = [zlib.compress(status[a:b].tobytes(), 1) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
         return pa.table({"block": group.column("block"), "kind": pa.array([1] * len(m), pa.int32()), "bucket": group.column("bucket"), "body": pa.array(body, pa.binary())})
@@ -379,14 +384,14 @@ def covered(b: Block, status: np.ndarray, look: Lookup | None, answers: dict[int
     return np.cumsum(edge[:-1]) > 0
 
 
-def remove_repeats(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = 12 << 20, crowd: int = CROWD, keep_text: bool = True) -> DataFrame:
+def remove_repeats(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = 12 << 20, crowd: int = CROWD, keep_text: bool = True, by_key: bool = False) -> DataFrame:
     """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if wanted, the kept bytes."""
     if width < LONG + 1:
         raise ValueError(f"matches of {LONG + 1} bytes or more")
     blocks = stored(text_blocks(docs, text, doc_id, block_bytes), "text-blocks")
     total = blocks.agg(F.coalesce(F.sum(F.expr("aggregate(lens, 0L, (a, x) -> a + x)")), F.lit(0))).first()[0]
     buckets, long_buckets = 1 + total // bucket_bytes, 1 + 4 * total // bucket_bytes
-    settled = stored(_settled(_send_stretches(blocks, buckets, width), crowd), "settled")
+    settled = stored(_settled(_send_stretches(blocks, buckets, width), crowd, by_key), "settled")
     looked = stored(_looked_up(_send_lookups(blocks, settled, buckets, long_buckets, width), width), "looked-up")
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
