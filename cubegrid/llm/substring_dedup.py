@@ -6,9 +6,10 @@ The corpus is too large for one index, so equal strings are first brought togeth
 1. Texts are stored in blocks. Within a text, consecutive strings of ``width`` bytes that share
    their minimizer (the k bytes of least hash in them) form one stretch; equal strings always share
    it, and a stretch is a tenth as many records as strings. Blocks send distinct stretches only.
-2. Per bucket of minimizers, a stretch seen in a smaller document is settled as a whole. What is
-   left is a minimizer with several different stretches: they overlap in part.
-3. Those stretches are fetched (where very many share a minimizer, they are cut once more by a
+2. Per bucket of minimizers, those that one document alone has are done with. A minimizer whose copies all
+   have one and the same stretch is settled at once (``settle`` says why). What is left is minimizers
+   with several different stretches, which overlap in part.
+3. All copies of those stretches are fetched (where very many share a minimizer, they are cut once more by a
    longer one, which spreads them) and indexed: run-compressed transform, samples at run ends, matching statistics of
    every stretch streamed against it, and the least document of each matched string located from
    the samples.
@@ -227,38 +228,39 @@ def _send_stretches(blocks: DataFrame, buckets: int, width: int) -> DataFrame:
     return blocks.mapInArrow(run, "block long, bucket int, m binary, key binary, docs binary")
 
 
-def settle(m: np.ndarray, key: np.ndarray, doc: np.ndarray, crowd: int = CROWD, by_key: bool = False) -> np.ndarray:
+def settle(m: np.ndarray, key: np.ndarray, doc: np.ndarray, crowd: int = CROWD, alone: bool = False) -> np.ndarray:
     """Per record: 0 if no other document has its minimizer, 2 or 3 if its strings must be looked up
-    (3: so many different stretches share the minimizer that they are cut by a longer one). With
-    ``by_key``, 1 if a smaller document has the whole stretch, by the equality of keys."""
+    (3: so many different stretches share the minimizer that they are cut by a longer one).
+
+    A minimizer with one stretch only would make an index of that one text, in which its strings have
+    the least document of its copies: 1 says so at once where a smaller document has it, unless ``alone``
+    asks for the index there too.
+    """
     n = len(m)
     order = np.lexsort((doc, key, m))
     m, key, d = m[order], key[order], doc[order]
     new_m = np.concatenate([[True], m[1:] != m[:-1]])
     new = new_m | np.concatenate([[True], key[1:] != key[:-1]])
     kind = np.cumsum(new) - 1
-    least = d[new]  # of each distinct stretch
-    group = np.cumsum(new_m[new]) - 1
-    opens = np.flatnonzero(new_m[new])
-    first = np.flatnonzero(new_m)
-    ends = least if by_key else d  # of which a group must have two that differ
-    at = opens if by_key else first
-    lo, hi = np.minimum.reduceat(ends, at), np.maximum.reduceat(ends, at)
-    size = np.diff(np.append(opens, len(least)))
-    mixed = np.where(lo < hi, np.where(size > crowd, 3, 2), 0)[group]
-    status = np.where(d > least[kind], 1, mixed[kind]) if by_key else mixed[kind]
-    status = status.astype(np.uint8)
+    group = np.cumsum(new_m) - 1
+    at = np.flatnonzero(new_m)
+    lo, hi = np.minimum.reduceat(d, at), np.maximum.reduceat(d, at)
+    size = np.diff(np.append(kind[at], kind[-1] + 1))  # distinct stretches
+    status = np.where(lo < hi, np.where(size > crowd, 3, 2), 0)[group]
+    if not alone:
+        single = (size == 1)[group]
+        status[single] = d[single] > lo[group][single]
     out = np.empty(n, np.uint8)
     out[order] = status
     return out
 
 
-def _settled(sent: DataFrame, crowd: int, by_key: bool) -> DataFrame:
+def _settled(sent: DataFrame, crowd: int, alone: bool) -> DataFrame:
     def run(group: pa.Table) -> pa.Table:
         m = [_unpack(x, 5) for x in group.column("m").to_pylist()]
         key = [_unpack(x, 7) for x in group.column("key").to_pylist()]
         doc = [np.cumsum(np.frombuffer(zlib.decompress(x), np.int64)) for x in group.column("docs").to_pylist()]
-        status = settle(np.concatenate(m), np.concatenate(key), np.concatenate(doc), crowd, by_key)
+        status = settle(np.concatenate(m), np.concatenate(key), np.concatenate(doc), crowd, alone)
         cuts = starts_of(np.asarray([len(x) for x in m]))
         body = [zlib.compress(status[a:b].tobytes(), 1) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
         return pa.table({"block": group.column("block"), "kind": pa.array([1] * len(m), pa.int32()), "bucket": group.column("bucket"), "body": pa.array(body, pa.binary())})
@@ -384,14 +386,14 @@ def covered(b: Block, status: np.ndarray, look: Lookup | None, answers: dict[int
     return np.cumsum(edge[:-1]) > 0
 
 
-def remove_repeats(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = 12 << 20, crowd: int = CROWD, keep_text: bool = True, by_key: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = WIDTH, block_bytes: int = BLOCK_BYTES, bucket_bytes: int = 12 << 20, crowd: int = CROWD, keep_text: bool = True, alone: bool = False) -> DataFrame:
     """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if wanted, the kept bytes."""
     if width < LONG + 1:
         raise ValueError(f"matches of {LONG + 1} bytes or more")
     blocks = stored(text_blocks(docs, text, doc_id, block_bytes), "text-blocks")
     total = blocks.agg(F.coalesce(F.sum(F.expr("aggregate(lens, 0L, (a, x) -> a + x)")), F.lit(0))).first()[0]
     buckets, long_buckets = 1 + total // bucket_bytes, 1 + 4 * total // bucket_bytes
-    settled = stored(_settled(_send_stretches(blocks, buckets, width), crowd, by_key), "settled")
+    settled = stored(_settled(_send_stretches(blocks, buckets, width), crowd, alone), "settled")
     looked = stored(_looked_up(_send_lookups(blocks, settled, buckets, long_buckets, width), width), "looked-up")
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
