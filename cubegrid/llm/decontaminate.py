@@ -13,7 +13,8 @@ broadcast.
 
 Defined results: a null or word-free document has no words, is not hit and not contaminated; a
 null or word-free item has no window; repeated documents are each reported; items of equal text
-all count; an empty benchmark hits nothing. Only the named columns are used.
+all count; items without an id hit words too, count together as one item and are not in the list of ids;
+an empty benchmark hits nothing. Only the named columns are used.
 """
 
 from __future__ import annotations
@@ -25,6 +26,7 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -162,11 +164,11 @@ def windows_of(words: list[str], width: int = WINDOW) -> list[tuple[str, ...]]:
     return [tuple(words[i : i + width]) for i in range(len(words) - width + 1)]
 
 
-def _window_blocks(benchmark: DataFrame, item: str, text: str, width: int, window_block: int) -> Iterator[tuple[list[str], np.ndarray, np.ndarray, list[tuple[int, str]]]]:
+def _window_blocks(benchmark: DataFrame, item: str, text: str, width: int, window_block: int) -> Iterator[tuple[list[str], np.ndarray, np.ndarray, list[tuple[int, str | None]]]]:
     """Blocks of distinct windows in a fixed form: vocabulary, term numbers, lengths, (window, item)."""
     vocabulary: dict[str, int] = {}
     number: dict[tuple[str, ...], int] = {}
-    owners: list[tuple[int, str]] = []
+    owners: list[tuple[int, str | None]] = []
 
     def block():
         table = np.full((len(number), width), -1, np.int64)
@@ -174,7 +176,7 @@ def _window_blocks(benchmark: DataFrame, item: str, text: str, width: int, windo
             table[i, : len(w)] = [vocabulary[t] for t in w]
         return list(vocabulary), table, np.asarray([len(w) for w in number], np.int64), owners
 
-    rows = benchmark.select(F.col(item).cast("string").alias("item"), F.col(text).alias("text")).where(F.col("text").isNotNull() & F.col("item").isNotNull())
+    rows = benchmark.select(F.col(item).cast("string").alias("item"), F.col(text).alias("text")).where("text is not null")
     for row in rows.toLocalIterator():
         for w in dict.fromkeys(windows_of(words_of(row["text"]), width)):
             for t in w:
@@ -190,9 +192,9 @@ def _window_blocks(benchmark: DataFrame, item: str, text: str, width: int, windo
 _HITS = "doc_id long, text_hash long, seq string, n_words long, spans binary, items array<string>"
 
 
-def phrase_hits(index: DataFrame, block: tuple, only_hit: bool = False) -> DataFrame:
-    """Per document of the index: words, hit spans (pairs of int32 word offsets), items that occur."""
-    shared = index.sparkSession.sparkContext.broadcast(block)
+def phrase_hits(index: DataFrame, shared: Broadcast, only_hit: bool = False) -> DataFrame:
+    """Per document of the index (or those hit): words, hit spans (pairs of int32 word offsets), items
+    that occur. ``shared`` is the broadcast of a block of windows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary, phrases, lengths, owner_pairs = shared.value
@@ -218,7 +220,7 @@ def phrase_hits(index: DataFrame, block: tuple, only_hit: bool = False) -> DataF
                         pa.array([f"{row['block_id']}:{d}" for d in docs], pa.string()),
                         pa.array([int(p.doc_words[d]) for d in docs], pa.int64()),
                         pa.array([_merged(spans[d]).tobytes() if d in spans else b"" for d in docs], pa.binary()),
-                        pa.array([sorted(items[d]) if d in items else [] for d in docs], pa.list_(pa.string())),
+                        pa.array([sorted(items[d], key=lambda x: (x is None, x or "")) if d in items else [] for d in docs], pa.list_(pa.string())),
                     ],
                     names=["doc_id", "text_hash", "seq", "n_words", "spans", "items"],
                 )
@@ -306,15 +308,19 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc
     tame_arrow(spark)
     blocks = _window_blocks(benchmark, item, item_text, width, window_block)
     first = next(blocks, ([], np.zeros((0, width), np.int64), np.zeros(0, np.int64), []))
-    hits = _spans_column(phrase_hits(index, first))
+    shared = spark.sparkContext.broadcast(first)
     more = next(blocks, None)
     if more is None:
-        return _digest(hits)
-    # further blocks: spans and items of a document from several passes are united afterwards
-    hits = phrase_hits(index, first)
+        return _digest(_spans_column(phrase_hits(index, shared)))
+    # further blocks one after the other, each gone before the next: only documents they hit are kept, and
+    # spans and items of a document from several passes are united afterwards
+    hits = stored(phrase_hits(index, shared), "phrase-hits")
     while more is not None:
-        hits = hits.unionByName(phrase_hits(index, more))
+        shared.unpersist()
+        shared = spark.sparkContext.broadcast(more)
+        hits = hits.unionByName(stored(phrase_hits(index, shared, only_hit=True), "phrase-hits"))
         more = next(blocks, None)
+    shared.unpersist()
 
     def unite(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType
 
-from cubegrid.llm.common import slices, stored, tame_arrow
+from cubegrid.llm.common import fresh, slices, stored, tame_arrow
 
 TABLE_FULL = 4096
 GREY = np.repeat(np.arange(256, dtype=np.uint8)[:, None], 3, axis=1)
@@ -235,11 +235,21 @@ def _palette(data: bytes, at: int, flags: int) -> tuple[np.ndarray | None, int]:
     return np.frombuffer(raw, np.uint8).reshape(n, 3), at + 3 * n
 
 
-def decode(data: bytes, compose: bool = True) -> Iterator[Frame]:
-    """Frames in order, each with the canvas it leaves on screen while it is shown."""
+#: Pixels of the largest canvas or frame that is decoded: 128 MB of colours.
+MOST_PIXELS = 1 << 25
+
+
+def decode(data: bytes, compose: bool = True, most_pixels: int = MOST_PIXELS) -> Iterator[Frame]:
+    """Frames in order, each with the canvas it leaves on screen while it is shown.
+
+    What is no GIF gives none, nor does a canvas of more than ``most_pixels``; a damaged file, or a frame
+    of more pixels, ends the frames.
+    """
     if len(data) < 13 or data[:6] not in (b"GIF87a", b"GIF89a"):
         return
     width, height, flags = struct.unpack_from("<HHB", data, 6)
+    if width * height > most_pixels:
+        return
     shared, at = _palette(data, 13, flags)
     canvas = np.zeros((height, width, 4), np.uint8) if compose else None
     delay, disposal, transparent = 0, 0, -1
@@ -257,7 +267,7 @@ def decode(data: bytes, compose: bool = True) -> Iterator[Frame]:
                 own, at = _palette(data, at + 10, flags)
                 bits = data[at]
                 body, at = _sub_blocks(data, at + 1)
-                if not 2 <= bits <= 8:
+                if not 2 <= bits <= 8 or rows * columns > most_pixels:
                     return
                 flat = lzw_decode(body, bits, rows * columns)
                 whole = len(flat) == rows * columns
@@ -331,31 +341,34 @@ def padded(text: bytes) -> bytes:
 def encode_texts(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """``keep`` plus n_bytes and media: the text's bytes, padded, as a GIF."""
     tame_arrow(docs.sparkSession)
-    narrow = docs.select(*[F.col(k) for k in keep], F.coalesce(F.col(text), F.lit("")).cast("binary").alias("__text"))
+    own = fresh(list(keep), "text")[0]
+    own = fresh(list(keep), "media")[0]
+    narrow = docs.select(*[F.col(f"`{k}`") for k in keep], F.coalesce(F.col(text), F.lit("")).cast("binary").alias(own))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches, "__text"):
-            rows = part.column("__text").to_pylist()
+        for part in slices(batches, own):
+            rows = part.column(own).to_pylist()
             held = [part.column(i) for i in range(len(keep))]
             yield pa.RecordBatch.from_arrays([*held, pa.array([len(r) for r in rows], pa.int64()), pa.array([payload_gif(padded(r)) for r in rows], pa.binary())], names=[*keep, "n_bytes", "media"])
 
-    return narrow.mapInArrow(run, narrow.drop("__text").schema.add("n_bytes", "long").add("media", "binary"))
+    return narrow.mapInArrow(run, narrow.drop(own).schema.add("n_bytes", "long").add("media", "binary"))
 
 
 def decode_frames(media: DataFrame, column: str = "media", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """One row per frame: number, start and delay in ms, place, size and 3 x 8 colour counts of what is shown."""
     tame_arrow(media.sparkSession)
-    narrow = media.select(*[F.col(k) for k in keep], F.col(column).alias("__media"))
+    own = fresh(list(keep), "media")[0]
+    narrow = media.select(*[F.col(f"`{k}`") for k in keep], F.col(column).alias(own))
     names = ["frame", "start_ms", "delay_ms", "left", "top", "width", "height"]
-    schema = narrow.drop("__media").schema
+    schema = narrow.drop(own).schema
     for n in names:
         schema = schema.add(n, "long")
     schema = schema.add("histogram", ArrayType(LongType()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches, "__media"):
+        for part in slices(batches, own):
             at, rows, hist = [], [], []
-            for i, data in enumerate(part.column("__media").to_pylist()):
+            for i, data in enumerate(part.column(own).to_pylist()):
                 start = 0
                 for k, f in enumerate(decode(data or b"")):
                     at.append(i)
@@ -382,15 +395,16 @@ def read_payload(data: bytes) -> tuple[bytes, np.ndarray]:
 def digest_media(media: DataFrame, keep: tuple[str, ...] = ("doc_id", "n_bytes"), column: str = "media") -> DataFrame:
     """What the stored bytes give when read back: payload size and digests, media digest, feature."""
     tame_arrow(media.sparkSession)
-    narrow = media.select(*[F.col(k) for k in keep], F.col(column).alias("__media"))
-    schema = narrow.drop("__media").schema
+    own = fresh(list(keep), "media")[0]
+    narrow = media.select(*[F.col(f"`{k}`") for k in keep], F.col(column).alias(own))
+    schema = narrow.drop(own).schema
     for n, kind in (("payload_bytes", "long"), ("payload_sha256", "string"), ("tail_crc32", "long"), ("media_bytes", "long"), ("media_sha256", "string"), ("feature", "string")):
         schema = schema.add(n, kind)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in slices(batches, "__media"):
+        for part in slices(batches, own):
             rows = []
-            for data in part.column("__media").to_pylist():
+            for data in part.column(own).to_pylist():
                 payload, hist = read_payload(data)
                 rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), ",".join(map(str, hist.tolist()))))
             held = [part.column(i) for i in range(len(keep))]

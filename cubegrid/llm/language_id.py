@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cubegrid.llm.common import id_crc, slices, starts_of, tame_arrow, texts
+from cubegrid.llm.common import fresh, id_crc, slices, starts_of, tame_arrow, texts
 
 BUCKETS = 1 << 16
 ORDERS = (1, 2, 3)
@@ -71,7 +71,7 @@ def _grams(idx: list[int], pieces: list[str], buckets: int) -> Iterator[tuple[np
     owner = np.repeat(np.arange(len(pieces)), lens)
     at = np.arange(len(codes)) - np.repeat(begin, lens)
     size = np.repeat(lens, lens)
-    fresh = np.repeat(np.where(cont, 2, 0), lens)
+    begun = np.repeat(np.where(cont, 2, 0), lens)
     shift = np.uint32(32 - int(buckets).bit_length() + 1)
     for n in ORDERS:
         m = len(codes) - n + 1
@@ -83,7 +83,7 @@ def _grams(idx: list[int], pieces: list[str], buckets: int) -> Iterator[tuple[np
             h *= np.uint32(0x01000193)
             h ^= h >> np.uint32(15)
         h *= np.uint32(0x9E3779B1)
-        ok = (at[:m] + n <= size[:m]) & (at[:m] + n - 1 >= fresh[:m])
+        ok = (at[:m] + n <= size[:m]) & (at[:m] + n - 1 >= begun[:m])
         if n == 1:
             ok &= codes[:m] != 32
         elif n == 2:
@@ -135,7 +135,7 @@ def fit(docs: DataFrame, where: Column, text: str = "text", lang: str = "lang",
     sums = np.zeros((len(langs), buckets))
     sums[np.searchsorted(langs, counted["lang"].to_numpy(str)), counted["bucket"].to_numpy()] = counted["n"].to_numpy()
     logp = np.log(sums + smooth) - np.log(sums.sum(1, keepdims=True) + smooth * buckets)
-    n = np.asarray([min(sizes[k], docs_per_lang) for k in langs], float)
+    n = np.asarray([sizes[k] for k in langs], float)  # of all rows, not of the thinned ones
     return LanguageModel(langs, logp.astype(np.float32), np.log(n / n.sum()))
 
 
@@ -144,13 +144,14 @@ def predict(docs: DataFrame, model: LanguageModel, text: str = "text", keep: tup
     spark = docs.sparkSession
     tame_arrow(spark)
     shared = spark.sparkContext.broadcast(model)
-    narrow = docs.select(*[F.col(f"`{k}`") for k in keep], F.col(text).alias("__text"))
-    schema = narrow.drop("__text").schema.add(names[0], "string").add(names[1], "double")
+    own = fresh(list(keep), "text")[0]
+    narrow = docs.select(*[F.col(f"`{k}`") for k in keep], F.col(text).alias(own))
+    schema = narrow.drop(own).schema.add(names[0], "string").add(names[1], "double")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        for part in slices(batches, "__text"):
-            rows = texts(part, "__text")
+        for part in slices(batches, own):
+            rows = texts(part, own)
             langs, score = score_texts(rows, m, buckets)
             held = [part.column(i) for i in range(len(keep))]
             yield pa.RecordBatch.from_arrays([*held, pa.array(langs, pa.string()), pa.array(score)], names=[*keep, *names])

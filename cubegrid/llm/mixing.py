@@ -33,6 +33,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from cubegrid.llm.common import fresh
+
 NO_SOURCE = "\0none"
 
 
@@ -145,42 +147,42 @@ def mix(docs: DataFrame, weights: dict[str, float] | None = None, source: str =
     spark = docs.sparkSession
     added = ("mix_block", "mix_slot", "mix_release", "mix_deadline", "mix_phase", "mix_rank")
     rows = docs.drop(*added)
-    name = F.coalesce(F.col(source).cast("string"), F.lit(NO_SOURCE))
+    name = F.coalesce(F.col(f"`{source}`").cast("string"), F.lit(NO_SOURCE))
     sizes = {r[0]: r[1] for r in rows.groupBy(name.alias("s")).count().collect()}
     if weights is None:
         weights = {k: n**temper for k, n in sizes.items()}
     least = min(weights.values(), default=1.0)
     schedule = plan({k: -(-n // block_docs) for k, n in sizes.items()}, {k: weights.get(k, least) for k in sizes})
     number = {k: i for i, k in enumerate(schedule.names)}
-    groups = spark.createDataFrame([(k, number[k], max(1, -(-n // group_rows))) for k, n in sizes.items()], "__s string, __src int, __groups int")
-    hashed = F.xxhash64(F.col(doc_id).cast("string"), F.lit(seed))
+    key, src, count, h, g, own, before, at, got = fresh(rows.columns, "src_name", "src_no", "src_groups", "row_hash", "row_group", "own_no", "before_no", "at_no", "placed")
+    groups = spark.createDataFrame([(k, number[k], max(1, -(-n // group_rows))) for k, n in sizes.items()], f"{key} string, {src} int, {count} int")
+    hashed = F.xxhash64(F.col(f"`{doc_id}`").cast("string"), F.lit(seed))
     # one row per source: its size is that of the driver's own list
-    dealt = rows.withColumn("__s", name).join(F.broadcast(groups), "__s").withColumn("__h", hashed).withColumn("__g", F.pmod("__h", F.col("__groups")).cast("int"))
-    counts = dealt.groupBy("__src", "__g").agg(F.count("*").alias("__n"))
-    before = F.sum("__n").over(Window.partitionBy("__src").orderBy("__g")) - F.col("__n")
-    offsets = counts.select("__src", "__g", before.alias("__before"))
-    own = F.row_number().over(Window.partitionBy("__src", "__g").orderBy("__h", doc_id, F.xxhash64(text))) - 1
-    ranked = dealt.withColumn("__own", own).join(offsets, ["__src", "__g"]).withColumn("__at", F.col("__own") + F.col("__before"))
+    dealt = rows.withColumn(key, name).join(F.broadcast(groups), key).withColumn(h, hashed).withColumn(g, F.pmod(h, F.col(count)).cast("int"))
+    counts = dealt.groupBy(src, g).agg(F.count("*").alias(own))
+    offsets = counts.select(src, g, (F.sum(own).over(Window.partitionBy(src).orderBy(g)) - F.col(own)).alias(before))
+    nth = F.row_number().over(Window.partitionBy(src, g).orderBy(F.col(h), F.col(f"`{doc_id}`"), F.xxhash64(F.col(f"`{text}`")))) - 1
+    ranked = dealt.withColumn(own, nth).join(offsets, [src, g]).withColumn(at, F.col(own) + F.col(before))
     shared = spark.sparkContext.broadcast(schedule)
 
-    placing = F.struct(F.col("__src").alias("src"), (F.col("__at") / block_docs).cast("long").alias("block"))
+    placing = F.struct(F.col(src).alias("src"), (F.col(at) / block_docs).cast("long").alias("block"))
 
     @F.arrow_udf("struct<phase:long,slot:long,release:long,deadline:long>")
     def place(key: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for k in key:
-            got = shared.value.place(k.field("src").to_numpy(zero_copy_only=False), k.field("block").to_numpy(zero_copy_only=False))
-            yield pa.StructArray.from_arrays([pa.array(x) for x in got], names=["phase", "slot", "release", "deadline"])
+            found = shared.value.place(k.field("src").to_numpy(zero_copy_only=False), k.field("block").to_numpy(zero_copy_only=False))
+            yield pa.StructArray.from_arrays([pa.array(x) for x in found], names=["phase", "slot", "release", "deadline"])
 
-    out = ranked.withColumn("__p", place(placing))
+    out = ranked.withColumn(got, place(placing))
     kept = [F.col(f"`{c}`") for c in rows.columns]
     return out.select(
         *kept,
-        (F.col("__at") / block_docs).cast("long").alias("mix_block"),
-        F.col("__p.slot").alias("mix_slot"),
-        F.col("__p.release").alias("mix_release"),
-        F.col("__p.deadline").alias("mix_deadline"),
-        F.col("__p.phase").alias("mix_phase"),
-        (F.col("__p.slot") * block_docs + F.col("__at") % block_docs).alias("mix_rank"),
+        (F.col(at) / block_docs).cast("long").alias("mix_block"),
+        F.col(f"{got}.slot").alias("mix_slot"),
+        F.col(f"{got}.release").alias("mix_release"),
+        F.col(f"{got}.deadline").alias("mix_deadline"),
+        F.col(f"{got}.phase").alias("mix_phase"),
+        (F.col(f"{got}.slot") * block_docs + F.col(at) % block_docs).alias("mix_rank"),
     )
 
 

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from cubegrid.llm.common import WordIds, id_crc, mix64, slices, starts_of, tame_arrow, texts
+from cubegrid.llm.common import WordIds, fresh, id_crc, mix64, slices, starts_of, tame_arrow, texts
 
 BITS = 18
 TOKEN = re.compile(r"\w+|[^\w\s]+")
@@ -116,16 +116,17 @@ def fit_rows_model(rows: list[np.ndarray], y: np.ndarray) -> HingeModel:
 
 
 def _indicators(docs: DataFrame, keep: tuple[str, ...], text: str) -> DataFrame:
-    narrow = docs.select(*[F.col(k) for k in keep], F.col(text).alias("__text"))
+    own = fresh(list(keep), "text")[0]
+    narrow = docs.select(*[F.col(f"`{k}`") for k in keep], F.col(text).alias(own))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids = WordIds()
-        for part in slices(batches, "__text"):
-            rows = [features(t, ids) for t in texts(part, "__text")]
+        for part in slices(batches, own):
+            rows = [features(t, ids) for t in texts(part, own)]
             held = [part.column(i) for i in range(len(keep))]
             yield pa.RecordBatch.from_arrays([*held, pa.array([r.tobytes() for r in rows], pa.binary())], names=[*keep, "f"])
 
-    return narrow.mapInArrow(run, narrow.drop("__text").schema.add("f", "binary"))
+    return narrow.mapInArrow(run, narrow.drop(own).schema.add("f", "binary"))
 
 
 def fit(docs: DataFrame, labels: DataFrame, where: Column, label: str = "quality", doc_id: str = "doc_id", text: str = "text", fit_rows: int = 9000) -> HingeModel:
@@ -154,16 +155,17 @@ def predict(docs: DataFrame, model: HingeModel, text: str = "text", keep: tuple[
     spark = docs.sparkSession
     tame_arrow(spark)
     shared = spark.sparkContext.broadcast(model)
-    narrow = docs.select(*[F.col(k) for k in keep], F.col(text).alias("__text"))
+    own = fresh(list(keep), "text")[0]
+    narrow = docs.select(*[F.col(f"`{k}`") for k in keep], F.col(text).alias(own))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m, ids = shared.value, WordIds()
-        for part in slices(batches, "__text"):
-            score = np.asarray([score_one(features(t, ids), m) for t in texts(part, "__text")])
+        for part in slices(batches, own):
+            score = np.asarray([score_one(features(t, ids), m) for t in texts(part, own)])
             held = [part.column(i) for i in range(len(keep))]
             yield pa.RecordBatch.from_arrays([*held, pa.array(score, pa.float64()), pa.array((score >= 0.5).astype(np.int32))], names=[*keep, "score", "predicted"])
 
-    return narrow.mapInArrow(run, narrow.drop("__text").schema.add("score", "double").add("predicted", "integer"))
+    return narrow.mapInArrow(run, narrow.drop(own).schema.add("score", "double").add("predicted", "integer"))
 
 
 def is_held_out(doc_id: Column) -> Column:

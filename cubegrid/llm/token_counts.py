@@ -4,7 +4,8 @@ Texts are cut at ASCII white space, across which this tokenizer's pre-tokens nev
 pre-tokenizer drops white space, its normaliser cannot compose across it and no special token
 holds any), so the count of a text is the sum over its chunks. Each distinct chunk of a slice is
 encoded once, in batches balanced by bytes, and remembered in a bounded table. A chunk is never
-cut, so the sum is exact for texts of any length.
+cut, so the sum is exact for texts of any length; a text without white space is one chunk. Another
+tokenizer is first tried on probes, and gets whole texts where it does not count chunk by chunk.
 
 Defined results: null counts as the empty text (0 tokens). Repeated rows are each counted; an
 empty table gives no row; further columns do no harm.
@@ -20,7 +21,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubegrid.llm.common import slices, tame_arrow
+from cubegrid.llm.common import fresh, slices, tame_arrow
+
+
+#: Texts on which a tokenizer must count chunk by chunk as it does as a whole.
+_PROBES = ("two words", "a  b\t\tc", "line one.\nLine two!\r\n\r\n  indented", " 1 234 , 5", "\u00e9t\u00e9 \u4e2d\u6587 \u00fc")
+#: Longer chunks are not remembered, so that memory is bounded in bytes.
+_LONG_CHUNK = 256
 
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
@@ -41,6 +48,9 @@ class ChunkCounter:
         self.tok.no_padding()
         self.known: dict[bytes, int] = {}
         self.remember, self.batch_bytes = remember, batch_bytes
+        # a tokenizer that counts white space, or joins across it, gets whole texts
+        one = lambda t: len(self.tok.encode(t, add_special_tokens=False))
+        self.cuts = all(one(t) == sum(map(one, t.split())) for t in _PROBES)
 
     def _learn(self, chunks: list[bytes]) -> None:
         batch: list[str] = []
@@ -60,29 +70,35 @@ class ChunkCounter:
         self.known.update(zip(keys, map(len, self.tok.encode_batch_fast(batch, add_special_tokens=False)), strict=True))
 
     def count(self, rows: list[bytes]) -> np.ndarray:
-        parts = [r.split() for r in rows]  # bytes.split cuts at ASCII white space only
+        # bytes.split cuts at ASCII white space only
+        parts = [r.split() for r in rows] if self.cuts else [[r] for r in rows]
         seen = set().union(*parts)
-        fresh = [c for c in seen if c not in self.known]
-        if len(self.known) + len(fresh) > self.remember:
+        new = [c for c in seen if c not in self.known]
+        if len(self.known) + len(new) > self.remember:
             self.known.clear()
-            fresh = list(seen)
-        self._learn(fresh)
+            new = list(seen)
+        self._learn(new)
         get = self.known.__getitem__
-        return np.fromiter((sum(map(get, p)) for p in parts), np.int64, len(parts))
+        out = np.fromiter((sum(map(get, p)) for p in parts), np.int64, len(parts))
+        for c in new:
+            if len(c) > _LONG_CHUNK:
+                del self.known[c]
+        return out
 
 
 def count_tokens(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), path: str | None = None) -> DataFrame:
     """``keep`` plus n_bytes and n_tokens; nothing but lengths leaves the Arrow function."""
     tame_arrow(docs.sparkSession)
     where = path or tokenizer_path()
-    narrow = docs.select(*[F.col(k) for k in keep], F.coalesce(F.col(text), F.lit("")).cast("binary").alias("__text"))
-    schema = narrow.drop("__text").schema.add("n_bytes", "long").add("n_tokens", "long")
+    own = fresh(list(keep), "text")[0]
+    narrow = docs.select(*[F.col(f"`{k}`") for k in keep], F.coalesce(F.col(text), F.lit("")).cast("binary").alias(own))
+    schema = narrow.drop(own).schema.add("n_bytes", "long").add("n_tokens", "long")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counter = None
-        for part in slices(batches, "__text", 2 << 20):
+        for part in slices(batches, own, 2 << 20):
             counter = counter or ChunkCounter(where)
-            rows = part.column("__text").to_pylist()
+            rows = part.column(own).to_pylist()
             held = [part.column(i) for i in range(len(keep))]
             yield pa.RecordBatch.from_arrays([*held, pa.array(np.fromiter(map(len, rows), np.int64, len(rows))), pa.array(counter.count(rows))], names=[*keep, "n_bytes", "n_tokens"])
 
