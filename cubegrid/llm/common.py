@@ -79,7 +79,9 @@ def join_hot(rows: DataFrame, classes: DataFrame, keys: list[str], weight: str,
     others = [c for c in classes.columns if c not in keys and c != weight]
     key_of = lambda frame: [F.col(k).alias(f"__k_{k}") for k in keys]  # noqa: E731, ARG005
     hot = classes.orderBy(F.desc(weight), *keys).limit(HOT_KEYS).select(*key_of(classes), *[F.col(c).alias(f"__hot_{c}") for c in others], F.lit(True).alias("__hot"))
-    cold = classes.select(*key_of(classes), *[F.col(c).alias(f"__cold_{c}") for c in others], F.lit(0).alias("__deal0"), F.lit(True).alias("__cold"))
+    # always 0, but no literal: the optimizer would fold that into a filter and deal rows by the keys alone
+    nought = F.pmod(F.xxhash64(*[F.col(k) for k in keys]), F.lit(1)).cast("int")
+    cold = classes.select(*key_of(classes), *[F.col(c).alias(f"__cold_{c}") for c in others], nought.alias("__deal0"), F.lit(True).alias("__cold"))
     met = rows.join(F.broadcast(hot), [F.col(k) == F.col(f"__k_{k}") for k in keys], "left").drop(*[f"__k_{k}" for k in keys])
     met = met.withColumn("__deal", F.when(F.col("__hot"), 1 + F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in rows.columns]), F.lit(1 << 20))).otherwise(0).cast("int"))
     met = met.join(cold, [*[F.col(k) == F.col(f"__k_{k}") for k in keys], F.col("__deal") == F.col("__deal0")], "left")
