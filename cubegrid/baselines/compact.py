@@ -1,8 +1,8 @@
 """Positional indexes: per tuple of values and file, the blocks that hold it; also with counts.
 
 A query scans the index with the conditions on its dimensions, makes the list of blocks distinct,
-reads those blocks whole and filters them again. The list stays a table: a semi-join, never a file
-loaded by the driver.
+reads those blocks whole and filters them again. A list of few ranges of blocks is pushed to the scan, where
+file names and statistics of the block column skip the rest; a longer one stays a table and is a semi-join.
 """
 
 from __future__ import annotations
@@ -22,6 +22,10 @@ def with_positions(spark: SparkSession, path: str, block_rows: int) -> DataFrame
     return rows.select("*", F.col("_metadata.file_path").alias("file"), F.expr(f"_metadata.row_index div {block_rows}").alias("block"))
 
 
+#: Blocks whose list the driver looks at, and ranges of neighbouring blocks that are pushed to the scan.
+MOST_BLOCKS, MOST_RANGES = 10_000, 200
+
+
 class CompactIndex:
     """``base`` has columns file and block; ``dims`` are the indexed columns."""
 
@@ -40,7 +44,18 @@ class CompactIndex:
 
     def block_rows(self, ranges) -> DataFrame:
         """All rows of the blocks that the query touches."""
-        return self.base.join(self.blocks(ranges), ["file", "block"], "left_semi")
+        hits = self.blocks(ranges)
+        found = sorted((r.file, r.block) for r in hits.limit(MOST_BLOCKS + 1).collect())
+        runs: list[list] = []
+        for file, block in found:
+            if runs and runs[-1][0] == file and block == runs[-1][2] + 1:
+                runs[-1][2] = block
+            else:
+                runs.append([file, block, block])
+        if len(found) > MOST_BLOCKS or len(runs) > MOST_RANGES:
+            return self.base.join(hits, ["file", "block"], "left_semi")
+        quoted = lambda f: "'" + f.replace("\\", "\\\\").replace("'", "\\'") + "'"
+        return self.base.where(" OR ".join(f"(file = {quoted(f)} AND block BETWEEN {a} AND {b})" for f, a, b in runs) or "false")
 
     def rows(self, ranges, residual: str | None = None) -> DataFrame:
         return self.block_rows(ranges).where(condition(self.policy, ranges, residual))
