@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, LongType
+from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
 from cubegrid.llm.common import fresh, slices, stored, tame_arrow
 
@@ -342,7 +342,6 @@ def encode_texts(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("
     """``keep`` plus n_bytes and media: the text's bytes, padded, as a GIF."""
     tame_arrow(docs.sparkSession)
     own = fresh(list(keep), "text")[0]
-    own = fresh(list(keep), "media")[0]
     narrow = docs.select(*[F.col(f"`{k}`") for k in keep], F.coalesce(F.col(text), F.lit("")).cast("binary").alias(own))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -354,14 +353,30 @@ def encode_texts(docs: DataFrame, text: str = "text", keep: tuple[str, ...] = ("
     return narrow.mapInArrow(run, narrow.drop(own).schema.add("n_bytes", "long").add("media", "binary"))
 
 
+#: What is kept of a frame beside its 3 x 8 colour counts.
+FRAME = ("frame", "start_ms", "delay_ms", "left", "top", "width", "height")
+
+
+def timed_frames(data: bytes | None) -> Iterator[tuple[Frame, tuple[int, ...], np.ndarray]]:
+    """Each frame with its number, start, delay, place and size, and the colour counts of what is shown."""
+    start = 0
+    for k, f in enumerate(decode(data or b"")):
+        rows, columns = f.indices.shape
+        yield f, (k, start, 10 * f.delay, f.left, f.top, columns, rows), histogram(f.canvas).ravel()
+        start += 10 * f.delay
+
+
+def _frame_columns(rows: list[tuple[int, ...]], hist: list[np.ndarray]) -> list[pa.Array]:
+    return [*[pa.array([r[j] for r in rows], pa.int64()) for j in range(len(FRAME))], pa.array(hist, pa.list_(pa.int64()))]
+
+
 def decode_frames(media: DataFrame, column: str = "media", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """One row per frame: number, start and delay in ms, place, size and 3 x 8 colour counts of what is shown."""
     tame_arrow(media.sparkSession)
     own = fresh(list(keep), "media")[0]
     narrow = media.select(*[F.col(f"`{k}`") for k in keep], F.col(column).alias(own))
-    names = ["frame", "start_ms", "delay_ms", "left", "top", "width", "height"]
     schema = narrow.drop(own).schema
-    for n in names:
+    for n in FRAME:
         schema = schema.add(n, "long")
     schema = schema.add("histogram", ArrayType(LongType()))
 
@@ -369,53 +384,54 @@ def decode_frames(media: DataFrame, column: str = "media", keep: tuple[str, ...]
         for part in slices(batches, own):
             at, rows, hist = [], [], []
             for i, data in enumerate(part.column(own).to_pylist()):
-                start = 0
-                for k, f in enumerate(decode(data or b"")):
+                for _, row, counts in timed_frames(data):
                     at.append(i)
-                    rows.append((k, start, 10 * f.delay, f.left, f.top, f.indices.shape[1], f.indices.shape[0]))
-                    hist.append(histogram(f.canvas).ravel())
-                    start += 10 * f.delay
+                    rows.append(row)
+                    hist.append(counts)
             held = part.select(list(keep)).take(pa.array(at, pa.int64()))
-            yield pa.RecordBatch.from_arrays([*held.columns, *[pa.array([r[j] for r in rows], pa.int64()) for j in range(len(names))], pa.array(hist, pa.list_(pa.int64()))], names=[*keep, *names, "histogram"])
+            yield pa.RecordBatch.from_arrays([*held.columns, *_frame_columns(rows, hist)], names=[*keep, *FRAME, "histogram"])
 
     return narrow.mapInArrow(run, schema)
 
 
-def read_payload(data: bytes) -> tuple[bytes, np.ndarray]:
-    """The stored samples, read through palette and canvas, and the colour counts over all frames."""
-    parts, hist = [], np.zeros(16, np.int64)
-    for f in decode(data):
-        rows, columns = f.indices.shape
-        samples = np.ascontiguousarray(f.canvas[f.top : f.top + rows, f.left : f.left + columns, 0])
-        parts.append(samples.tobytes())
-        hist += np.bincount(samples.ravel() >> 4, minlength=16)
-    return b"".join(parts), hist
-
-
 def digest_media(media: DataFrame, keep: tuple[str, ...] = ("doc_id", "n_bytes"), column: str = "media") -> DataFrame:
-    """What the stored bytes give when read back: payload size and digests, media digest, feature."""
+    """What the stored bytes give when read back through palettes and canvas: payload size and digests,
+    media digest, counts of the samples' upper four bits as feature, and the timed frames themselves."""
     tame_arrow(media.sparkSession)
     own = fresh(list(keep), "media")[0]
     narrow = media.select(*[F.col(f"`{k}`") for k in keep], F.col(column).alias(own))
     schema = narrow.drop(own).schema
     for n, kind in (("payload_bytes", "long"), ("payload_sha256", "string"), ("tail_crc32", "long"), ("media_bytes", "long"), ("media_sha256", "string"), ("feature", "string")):
         schema = schema.add(n, kind)
+    one = StructType([*[StructField(n, LongType()) for n in FRAME], StructField("histogram", ArrayType(LongType()))])
+    schema = schema.add("frames", ArrayType(one))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in slices(batches, own):
-            rows = []
+            rows, shown, hist, ends = [], [], [], [0]
             for data in part.column(own).to_pylist():
-                payload, hist = read_payload(data)
-                rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), ",".join(map(str, hist.tolist()))))
+                data = data or b""
+                parts, feature = [], np.zeros(16, np.int64)
+                for f, row, counts in timed_frames(data):
+                    high, wide = f.indices.shape
+                    samples = np.ascontiguousarray(f.canvas[f.top : f.top + high, f.left : f.left + wide, 0])
+                    parts.append(samples.tobytes())
+                    feature += np.bincount(samples.ravel() >> 4, minlength=16)
+                    shown.append(row)
+                    hist.append(counts)
+                ends.append(len(shown))
+                payload = b"".join(parts)
+                rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), ",".join(map(str, feature.tolist()))))
             held = [part.column(i) for i in range(len(keep))]
             new = [pa.array([r[j] for r in rows], pa.string() if j in (1, 4, 5) else pa.int64()) for j in range(6)]
-            yield pa.RecordBatch.from_arrays([*held, *new], names=[*schema.names])
+            frames = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.StructArray.from_arrays(_frame_columns(shown, hist), names=[*FRAME, "histogram"]))
+            yield pa.RecordBatch.from_arrays([*held, *new, frames], names=[*schema.names])
 
     return narrow.mapInArrow(run, schema)
 
 
 def op6_gif_media(spark, sf_dir: str) -> DataFrame:
-    """Every text stored as a GIF and read back: sizes, digests and a colour feature."""
+    """Every text stored as a GIF and read back: sizes, digests, a colour feature and the timed frames."""
     from cubegrid.llm.common import table
 
     media = stored(encode_texts(table(spark, sf_dir, "documents")), "gif-media")

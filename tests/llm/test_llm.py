@@ -79,6 +79,44 @@ def test_language_pieces_do_not_change_scores(docs, monkeypatch):
     assert whole[0] == cut[0] and np.allclose(whole[1], cut[1])
 
 
+def hash_of_gram(gram, buckets):
+    """The bucket of an n-gram in plain integers."""
+    h = {1: 0x9E3779B1, 2: 0x85EBCA77, 3: 0xC2B2AE3D}[len(gram)]
+    for c in gram:
+        h = (h ^ ord(c)) * 0x01000193 % 2**32
+        h ^= h >> 15
+    return (h * 0x9E3779B1 % 2**32) // (2**32 // buckets)
+
+
+def grams_of(text):
+    text = " " + "".join(" " if ord(c) < 128 and not "a" <= c <= "z" else c for c in text.lower())
+    out = [c for c in text if c != " "]
+    out += [text[i : i + 2] for i in range(len(text) - 1) if text[i : i + 2] != "  "]
+    return out + [text[i : i + 3] for i in range(len(text) - 2) if text[i + 1] != " "]
+
+
+def test_language_equals_dense_naive_bayes(spark):
+    """Counts, smoothed log-probabilities, priors and posteriors worked out gram by gram in plain Python."""
+    rows = [(k, prose(random.Random(k), 12 + k) + (" über ñu" if k % 3 == 0 else " the end"), "de" if k % 3 == 0 else "en") for k in range(20)]
+    rows += [(20, "", "en"), (21, None, "de"), (22, "no language", None), (23, "ab 1", "en")]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(3)
+    buckets = 1 << 10
+    model = language_id.fit(frame, F.lit(True), buckets=buckets)
+    learnt = [(t, lang) for _, t, lang in rows if t is not None and lang is not None]
+    counts = {k: Counter(hash_of_gram(g, buckets) for t, lang in learnt if lang == k for g in grams_of(t)) for k in ("de", "en")}
+    logp = {k: [np.log((c[b] + 0.5) / (sum(c.values()) + 0.5 * buckets)) for b in range(buckets)] for k, c in counts.items()}
+    prior = {k: np.log(sum(lang == k for _, lang in learnt) / len(learnt)) for k in counts}
+    assert model.langs == ["de", "en"]
+    assert np.allclose(model.logp, [logp["de"], logp["en"]], atol=1e-5) and np.allclose(model.prior, [prior["de"], prior["en"]])
+    for r in language_id.predict(frame, model, buckets=buckets).join(frame.select("doc_id", "text"), "doc_id").collect():
+        if r.text is None or not any(map(str.isalpha, r.text)):
+            assert (r.lang_pred, r.score) == ("und", 0.0)
+            continue
+        post = {k: sum(logp[k][hash_of_gram(g, buckets)] for g in grams_of(r.text)) / 3 + prior[k] for k in counts}
+        best = max(sorted(post), key=post.get)
+        assert r.lang_pred == best and abs(r.score - 1 / sum(np.exp(x - post[best]) for x in post.values())) < 1e-3
+
+
 def test_quality_accuracy_and_odd(spark, docs, odd):
     labels = spark.read.parquet(f"{SF001}/labels.parquet")
     model = quality.fit(docs, labels, ~quality.is_held_out(F.col("doc_id")))
@@ -98,6 +136,34 @@ def test_dual_coordinate_descent_separates():
     assert all((quality.score_one(r, m) > 0.5) == (k > 0) for r, k in zip(rows, y, strict=True))
 
 
+def test_quality_model_is_the_dual_optimum():
+    """Ratios from dense counts; the dual problem's optimality conditions and duality gap in dense arithmetic."""
+    rng = np.random.default_rng(3)
+    rows = [np.unique(rng.integers(0, 40, 12) + (8 if k % 2 else 0)).astype(np.int32) for k in range(50)]
+    y = np.asarray([1.0 if (k % 2) ^ (k % 11 == 0) else -1.0 for k in range(50)])
+    ratio = quality.log_count_ratio(rows, y)
+    dense = np.zeros((50, 1 << quality.BITS), np.float32)
+    for k, r in enumerate(rows):
+        dense[k, r] = 1
+    good, bad = 1 + dense[y > 0].sum(0, dtype=float), 1 + dense[y < 0].sum(0, dtype=float)
+    assert np.allclose(ratio, np.log(good / good.sum()) - np.log(bad / bad.sum()))
+    dense = dense[:, :64]
+    x = dense * ratio[:64]
+    x /= np.sqrt((x * x).sum(1, keepdims=True))
+    w, bias = quality.dual_coordinate_descent(rows, [ratio[r] / np.sqrt(ratio[r] @ ratio[r]) for r in rows], y, c=1.0, epochs=3000)
+    assert not w[64:].any()
+    full, own = np.hstack([x, np.ones((50, 1))]), np.append(w[:64], bias)
+    primal = own @ own / 2 + np.maximum(0, 1 - y * (full @ own)).sum()
+    # the best dual value by plain projected gradient on the same box
+    kernel = (full * y[:, None]) @ (full * y[:, None]).T
+    alpha, step = np.zeros(50), 1 / np.linalg.eigvalsh(kernel)[-1]
+    for _ in range(60000):
+        alpha = np.clip(alpha - step * (kernel @ alpha - 1), 0, 1)
+    dual = alpha.sum() - alpha @ kernel @ alpha / 2
+    assert dual - 1e-6 <= primal <= dual * 1.005
+    assert np.allclose(own, (alpha * y) @ full, atol=0.05)
+
+
 def test_token_counts_equal_the_tokenizer(odd, docs):
     from tokenizers import Tokenizer
 
@@ -166,6 +232,10 @@ def test_gif_columns(odd):
         p = gif.padded((r.text or "").encode())
         assert (r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-64:]))
         assert len(p) >= 64 and len(p) % 64 == 0
+        rows = [len(p[i : i + gif.COLUMNS * gif.ROWS]) // gif.COLUMNS for i in range(0, len(p), gif.COLUMNS * gif.ROWS)]
+        assert [(f.frame, f.start_ms, f.delay_ms, f.width, f.height) for f in r.frames] == [(k, 100 * k, 100, 64, n) for k, n in enumerate(rows)]
+        assert r.frames[0].histogram == 3 * [sum(x >> 5 == b for x in p[: gif.COLUMNS * gif.ROWS]) for b in range(8)]
+        assert r.feature == ",".join(str(sum(x >> 4 == b for x in p)) for b in range(16))
     frames = gif.decode_frames(media, keep=("key",)).collect()
     assert len(frames) >= odd.count() and all(sum(f.histogram) == 3 * 64 * f.height or f.frame for f in frames)
 
@@ -429,6 +499,29 @@ def test_near_duplicates(odd, docs, small, block):
     assert near_dup.join(odd.limit(0)).count() == 0
 
 
+def test_recall_on_more_documents(spark):
+    """All links of the sf 0.01 texts at 0.8 or more, found by an inverted index over whole sets."""
+    docs = spark.read.parquet(SF001.replace("sf0.001", "sf0.01") + "/documents.parquet")
+    rows = collected(docs)
+    ids = WordIds()
+    sets = [set(near_dup.shingle_set(t, ids).tolist()) if t else set() for _, t in rows]
+    holders, shared = defaultdict(list), Counter()
+    for k, own in enumerate(sets):
+        for s in own:
+            shared.update((j, k) for j in holders[s])
+            holders[s].append(k)
+    links = {(a, b) for (a, b), n in shared.items() if n >= 0.8 * (len(sets[a]) + len(sets[b]) - n) - 1e-9}
+    alike = defaultdict(list)
+    for k, (_, t) in enumerate(rows):
+        if t is not None:
+            alike[t].append(k)
+    links |= {(a, b) for group in alike.values() for i, b in enumerate(group) for a in group[:i]}
+    want = Counter(rows[k][0] for pair in links for k in pair)
+    got = {r.d: r.n_links for r in near_dup.join(docs).collect() if r.n_links}
+    assert len(links) > 100 and all(n <= want[d] for d, n in got.items())
+    assert sum(got.values()) >= 0.99 * sum(want.values())
+
+
 def test_bands_reach_the_recall():
     for t, recall in ((0.8, 0.99999), (0.6, 0.99), (0.9, 0.999)):
         bands, rows = near_dup.bands_for(t, recall)
