@@ -38,6 +38,32 @@ def save_jdbc(df: DataFrame, url: str, name: str, mode: str = "append", batch: i
     df.coalesce(connections).write.option("batchsize", batch).jdbc(url, name, mode, properties)
 
 
-def synchronise_archive(current: DataFrame, changes: DataFrame, key: str) -> DataFrame:
-    """A snapshot of a reference table: rows with changes replaced, new ones added."""
-    return current.join(changes.select(key), key, "left_anti").unionByName(changes)
+def load_jdbc(spark: SparkSession, url: str, name: str, split: str | None = None, bounds: tuple[int, int] | None = None, connections: int = 8, **properties: str) -> DataFrame:
+    """A table of a serving database or the archive; by ranges of a whole-number column where one is named."""
+    if split is None:
+        return spark.read.jdbc(url, name, properties=properties)
+    if bounds is None:
+        raise ValueError("bounds of the column to split by are needed")
+    return spark.read.jdbc(url, name, column=split, lowerBound=bounds[0], upperBound=bounds[1], numPartitions=connections, properties=properties)
+
+
+def load_table(spark: SparkSession, name: str, database: str | None = None) -> DataFrame:
+    """A table of the session's catalog; its partitions, buckets and statistics are known to the optimizer."""
+    full = f"{database}.{name}" if database else name
+    if not spark.catalog.tableExists(full):
+        raise ValueError(f"the catalog holds no table {full}")
+    return spark.table(full)
+
+
+def synchronise_archive(current: DataFrame, changes: DataFrame, key: str, version: str | None = None) -> DataFrame:
+    """A snapshot of a reference table: rows with changes replaced, new ones added.
+
+    Of several changes of a key the one with the greatest ``version`` counts, a column that only the changes
+    have; a null key is a key like others. Applying the same changes again alters nothing.
+    """
+    if version is not None:
+        others = [c for c in changes.columns if c != version]
+        latest = F.max_by(F.struct(*[F.col(f"`{c}`") for c in others]), F.col(f"`{version}`")).alias("latest")
+        changes = changes.groupBy(F.col(f"`{key}`").alias("changed")).agg(latest).select("latest.*")
+    changed = changes.select(F.col(f"`{key}`").alias("changed_key")).distinct()
+    return current.join(changed, F.col(f"`{key}`").eqNullSafe(F.col("changed_key")), "left_anti").unionByName(changes)

@@ -51,6 +51,29 @@ def gaps(rows: DataFrame, by: str = "user_id", time: str = "ts", longest_seconds
     return zoned.groupBy("k").applyInPandasWithState(step, f"{by} long, last_seen timestamp, seconds long", "last long", "append", GroupStateTimeout.NoTimeout)
 
 
+def silent(rows: DataFrame, by: str = "user_id", time: str = "ts", longest_seconds: int = 86400, delay: str = "1 hour") -> DataFrame:
+    """Streaming detector: (by, last_seen) once no reading has come for too long, by the watermark.
+
+    ``gaps`` needs a next reading to see that one was missing; this reports a key that may never send again.
+    A key that falls silent again is reported again; one whose next reading comes in the very batch that would
+    report it is left to ``gaps``. State is one time per key and goes with the report.
+    """
+    zoned = rows.select(F.col(by).cast("long").alias("k"), F.col(time).cast("timestamp").alias("t")).where("t IS NOT NULL").withWatermark("t", delay)
+
+    def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            (last,) = state.get
+            state.remove()
+            yield pd.DataFrame({by: [key[0]], "last_seen": [pd.Timestamp(last, unit="us")]})
+            return
+        last = max([int(b["t"].max().value // 1000) for b in batches] + ([state.get[0]] if state.exists else []))
+        state.update((last,))
+        # a time that the watermark has passed already is reported by the next batch
+        state.setTimeoutTimestamp(max(last // 1000 + longest_seconds * 1000, state.getCurrentWatermarkMs() + 1))
+
+    return zoned.groupBy("k").applyInPandasWithState(step, f"{by} long, last_seen timestamp", "last long", "append", GroupStateTimeout.EventTimeTimeout)
+
+
 def replay(spark, path: str, name: str, make, mode: str = "complete") -> DataFrame:
     """Run a streaming plan over the files of a folder to its end and return what it wrote."""
     schema = spark.read.parquet(path).schema
@@ -116,6 +139,15 @@ def stream_gaps(s, d):
     return got.select("user_id", F.col("last_seen").cast("timestamp_ntz").alias("last_seen"), "seconds")
 
 
+@query("stream_silent", "SELECT user_id, max(ts) AS last_seen FROM events GROUP BY user_id HAVING max(ts) + INTERVAL 1 DAY < (SELECT max(ts) - INTERVAL 1 HOUR FROM events)")
+def stream_silent(s, d):
+    """Keys that are silent when the stream ends; earlier silences are those that ``stream_gaps`` reports."""
+    found = replay(s, _landing(s, d), "silent", silent, mode="append")
+    last = found.groupBy("user_id").agg(F.max("last_seen").cast("timestamp_ntz").alias("last_seen"))
+    seen = table(s, d, "events").groupBy("user_id").agg(F.max("ts").cast("timestamp_ntz").alias("last_seen"))
+    return last.join(seen, ["user_id", "last_seen"], "left_semi").select("user_id", "last_seen")
+
+
 @query("stream_grid_ingest", "SELECT user_id // 10 AS g_user_id, CAST(CAST(ts AS DATE) - DATE '2024-01-01' AS BIGINT) AS g_day, count(*) AS n, CAST(sum(CAST(value AS DECIMAL(18,2))) AS DOUBLE) AS total FROM events GROUP BY ALL")
 def stream_grid_ingest(s, d):
     """A grid fed by a stream of files has the cells of one built at once."""

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import random
-from datetime import date, timedelta
+from datetime import date, datetime, timedelta
 from decimal import Decimal
 
 import pytest
@@ -15,14 +15,19 @@ from pyspark.sql import functions as F
 from cubegrid import fs, measures, sql_front
 from cubegrid.advisor import recommend_policy
 from cubegrid.api import ConflictError, GridTable
+from cubegrid.baselines import GridMethod
 from cubegrid.baselines.bitmap import BitmapIndex
 from cubegrid.baselines.compact import AggregateIndex, CompactIndex
 from cubegrid.baselines.scan import Scan
+from cubegrid.baselines.sharded import ShardedStore
 from cubegrid.headers import Agg, Header, canonical
 from cubegrid.plans.planner import GridQuery, header_answerable, plan_union
 from cubegrid.plans.predicate import Range, complete_box, make_box
 from cubegrid.policy import Dim, SplitPolicy, quantile_cuts
+from cubegrid.sources import loaders
 from cubegrid.stores import CachedEntries
+from cubegrid.streaming import windows
+from cubegrid.streaming.ingest import deduplicated, stream_into_grid, unseen
 
 DAY0 = date(2024, 1, 1)
 POLICY = SplitPolicy([Dim("u", 0, 5), Dim("r", 0, 1), Dim("x", 0, Decimal("0.02"), scale=2), Dim("day", DAY0, 2, "d")], "day")
@@ -440,3 +445,100 @@ def test_stores_answer_alike(spark, grid, rows):
         assert g.query(q).first() == g.query(q).first() == grid.query(q).first()
     assert len(kept.held) == 1 and not none.held
     assert GridTable.open(spark, grid.path, kept).entries().storageLevel.useMemory is False  # a projection over what is held
+
+
+# ---- streams, sinks, methods ---------------------------------------------------------------------
+
+
+def test_late_and_repeated_readings_of_a_stream(spark, tmp_path):
+    """Late rows reach their old cells; repeats are dropped within a batch and across batches; bad rows go aside."""
+    shape = "u long, day date, p decimal(12,2)"
+    day = [DAY0 + timedelta(days=k) for k in range(20)]
+    batches = [
+        [(1, day[9], 5), (1, day[9], 5), (2, day[10], 7), (3, None, 1)],
+        [(1, day[9], 5), (4, day[2], 9), (2, day[11], None), (3, None, 1)],
+        [(2, day[10], 7), (None, day[9], 2), (5, day[19], 3)],
+    ]
+    policy = SplitPolicy([Dim("u", 0, 2), Dim("day", DAY0, 1, "d")], "day")
+    to_frame = lambda b: spark.createDataFrame([(u, d, None if p is None else Decimal(p)) for u, d, p in b], shape)
+    grid = GridTable.create(to_frame([]), str(tmp_path / "grid"), policy, [Header.sum("p")], files=1)
+    landing = str(tmp_path / "landing")
+    for k, b in enumerate(batches):
+        to_frame(b).coalesce(1).write.mode("append").parquet(landing)
+        q = stream_into_grid(spark.readStream.schema(shape).parquet(landing), grid, str(tmp_path / "state"), F.col("p").isNotNull(), ["u", "day"], str(tmp_path / "aside"), across_batches=True)
+        q.awaitTermination()
+        assert len(grid.refresh().meta["ingested"]) == 1 and grid.meta["ingested"][0] == [0, k + 1]
+    want = {(u, d, p) for b in batches for u, d, p in b if p is not None}
+    got = [(r.u, r.day, int(r.p)) for r in grid.data().collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+    late = GridQuery((Range("day", day[2], day[3]),), (Agg("sum", "p", "s"),))
+    assert grid.plan(late).headers and grid.query(late).first().s == 9
+    assert spark.read.parquet(str(tmp_path / "aside")).count() == 1
+    with pytest.raises(ValueError):
+        unseen(to_frame([]), grid, ["u"])
+
+
+def test_repeats_within_the_watermark(spark, tmp_path):
+    rows = [(k, DAY0) for k in (1, 1, 2, 3, 3, 3)]
+    for _ in range(2):
+        spark.createDataFrame(rows, "u long, day date").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    source = spark.readStream.schema("u long, day date").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    out = str(tmp_path / "out")
+    deduplicated(source, "day", ["u"]).writeStream.format("parquet").option("path", out).option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start().awaitTermination()
+    assert sorted(r.u for r in spark.read.parquet(out).collect()) == [1, 2, 3]
+
+
+def test_silent_keys_are_reported_again_when_they_return(spark, tmp_path):
+    at = lambda hours: datetime(2024, 1, 1) + timedelta(hours=hours)
+    for k, b in enumerate([[(1, at(0)), (2, at(1))], [(2, at(40))], [(2, at(50))], [(1, at(60)), (2, at(61))], [(2, at(100))], [(2, at(101))]]):
+        spark.createDataFrame(b, "user_id long, ts timestamp").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    got = windows.replay(spark, str(tmp_path / "in"), "t-silent", windows.silent, mode="append")
+    found = sorted((r.user_id, r.last_seen) for r in got.collect())
+    assert [x for x in found if x[0] == 1] == [(1, at(0)), (1, at(60))] and (2, at(101)) not in found
+
+
+@pytest.mark.parametrize("kind", ["parquet", "orc", "json", "csv"])
+def test_formats_round_trip(rows, kind, tmp_path):
+    path = str(tmp_path / kind)
+    loaders.save(rows, path, kind, compression="gzip" if kind in ("json", "csv") else None, partition_by=["kind"])
+    got = loaders.load(rows.sparkSession, path, kind, None if kind in ("parquet", "orc") else rows.schema)
+    key = lambda r: r["k"]
+    assert sorted(got.select(*rows.columns).collect(), key=key) == sorted(rows.collect(), key=key)
+
+
+def test_sources_and_sinks(spark, rows, tmp_path):
+    rows.select("kind").coalesce(1).write.text(str(tmp_path / "text"))
+    assert loaders.load(spark, str(tmp_path / "text"), "text").groupBy("value").count().count() == 3
+    with pytest.raises(ValueError):
+        loaders.load(spark, str(tmp_path / "text"), "csv")
+    with pytest.raises(ValueError):
+        loaders.load(spark, str(tmp_path / "text"), "xml")
+    stats = rows.groupBy("kind").agg(F.count("*").alias("n"))
+    loaders.save_jdbc(stats, "jdbc:derby:memory:served;create=true", "stats", driver="org.apache.derby.iapi.jdbc.AutoloadedDriver")
+    back = loaders.load_jdbc(spark, "jdbc:derby:memory:served", "stats", driver="org.apache.derby.iapi.jdbc.AutoloadedDriver")
+    assert sorted(tuple(r) for r in back.collect()) == sorted(tuple(r) for r in stats.collect())
+
+
+def test_archive_keeps_one_row_a_key(spark):
+    old = spark.createDataFrame([(1, "a"), (2, "b"), (None, "n")], "id long, v string")
+    new = spark.createDataFrame([(2, "B", 1), (2, "C", 2), (3, "c", 1), (None, "N", 1)], "id long, v string, version int")
+    got = loaders.synchronise_archive(old, new, "id", "version")
+    assert {(r.id, r.v) for r in got.collect()} == {(1, "a"), (2, "C"), (3, "c"), (None, "N")} and got.count() == 4
+    again = loaders.synchronise_archive(got, new, "id", "version")
+    assert sorted(map(str, again.collect())) == sorted(map(str, got.collect()))
+
+
+def test_every_method_answers_alike(grid, rows):
+    """A grid with and without headers, a scan and a sharded store behind one protocol."""
+    users = rows.sparkSession.createDataFrame([(k, f"n{k}") for k in range(-12, 40, 2)], "u long, name string")
+    store = ShardedStore(rows, users, "u", ["u", "r", "day"], POLICY, nodes=3, chunks=2)
+    methods = [Scan(rows, POLICY), GridMethod(grid), GridMethod(grid, False), store]
+    for ranges in [(), (Range("u", 0, 10),), (Range.eq("u", 7),), (Range.open("u", 6, 8), Range.eq("r", 1)), (Range.eq("u", 10**6),)]:
+        assert len({m.query(ranges, AGGS).first() for m in methods}) == 1
+        read = [m.records_read(ranges).first().records_read for m in methods]
+        assert all(0 <= n <= 1500 for n in read) and read[1] <= read[2] <= read[0]
+    assert sum(r.n for r in store.shard_sizes().collect()) == 1500 and store.shard_sizes().where("n > 0").count() >= 5
+    joined = store.join_users((Range("u", 0, 10),))
+    assert "Exchange" not in joined._jdf.queryExecution().sparkPlan().toString() and joined.count() == rows.where("u >= 0 and u < 10 and u % 2 = 0").count()
+    whole_scan, one_key = (measures.scan_footprint(store.rows(r)) for r in ((), (Range.eq("u", 7),)))
+    assert one_key["files"] < whole_scan["files"] == 6 and one_key["rows"] < whole_scan["rows"] == 1500
