@@ -69,6 +69,20 @@ def test_joins_take_every_row_of_the_tables(spark):
     assert catalogue.QUERIES["op_join_asof"](spark, SF001).count() == at["orders"]
 
 
+def test_amplification_of_empty_answers(spark, tmp_path):
+    """No reading in the point box, readings without a user: ratios over nothing as SQL has them."""
+    moment = datetime(2024, 1, 3)
+    events = [(k, k % 90, moment + timedelta(hours=5 * k), "view", k / 4) for k in range(120)]
+    spark.createDataFrame(events, "event_id long, user_id long, ts timestamp_ntz, event_type string, value double").write.parquet(f"{tmp_path}/events.parquet")
+    spark.createDataFrame([(k, k % 25) for k in range(80)], "c_custkey long, c_nationkey int").write.parquet(f"{tmp_path}/customer.parquet")
+    con = oracle.duckdb.connect()
+    for t in ("events", "customer"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet/*.parquet'")
+    got = catalogue.QUERIES["measure_amplification_meter"](spark, str(tmp_path))
+    assert oracle.difference(got, con, catalogue.ORACLE["measure_amplification_meter"]) is None
+    assert {r.selectivity for r in got.where("query = 'point'").collect()} == {0.0}
+
+
 SF1 = "/root/testdata/sf0.1"  # 100,000 events
 AT_SF1 = ["agg_p05_grid_m", "agg_p12_scan", "group_point_compact", "join_p05_sharded", "grid_cells_meter_l", "reads_agg_meter", "measure_amplification_meter", "extra_pred_grid_m", "grid_sql_select", "grid_sql_create", "partition_compact_agg", "append_equals_rebuild"]
 AT_SF1_LARGE = ["agg_p05_grid_m_large", "agg_p12_scan_large", "group_p05_grid_l_large", "join_point_grid_s_large", "partial_grid_l_large", "grid_cells_meter_m_large", "reads_group_meter_large"]
