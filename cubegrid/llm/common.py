@@ -26,6 +26,15 @@ def words_of(text: str) -> list[str]:
     return WORD.findall(lowered)
 
 
+#: Bytes of UTF-8 by the same rule: A-Z lower-cased, what parts words a space; other letters are no ASCII bytes.
+_WORD_BYTES = bytes(c if c > 127 else ord(chr(c).lower()) if chr(c).isalnum() else 32 for c in range(256))
+
+
+def word_bytes(text: bytes) -> list[bytes]:
+    """The words of ``words_of`` in UTF-8, from a text in UTF-8; several times as fast."""
+    return text.translate(_WORD_BYTES).split()
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

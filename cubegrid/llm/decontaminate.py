@@ -26,11 +26,12 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubegrid.llm.common import slices, starts_of, stored, tame_arrow, texts, words_of
+from cubegrid.llm.common import slices, starts_of, stored, tame_arrow, word_bytes, words_of
 
 WINDOW = 13
 BLOCK_BYTES = 4 << 20
@@ -40,26 +41,26 @@ _INDEX = "block_id string, doc_ids array<long>, text_hashes array<long>, doc_wor
 # ---- the index ----------------------------------------------------------------------------------
 
 
-def _block(ids: list[int | None], rows: list[str | None]) -> dict:
+def _block(ids: list[int | None], rows: list[bytes | None]) -> dict:
     """Postings of a block: position p of the block's word sequence; documents follow one another."""
-    lists = [words_of(t) if t else [] for t in rows]
+    lists = [word_bytes(t) if t else [] for t in rows]
     lens = np.fromiter(map(len, lists), np.int32, len(lists))
-    names: defaultdict[str, int] = defaultdict()
+    names: defaultdict[bytes, int] = defaultdict()
     names.default_factory = names.__len__
     term = np.fromiter(map(names.__getitem__, chain.from_iterable(lists)), np.int32, int(lens.sum()))
     order = np.argsort(term, kind="stable").astype(np.int32)
     counts = np.bincount(term, minlength=len(names)).astype(np.int32)
-    return {"doc_ids": ids, "doc_words": lens, "terms": list(names), "counts": counts, "positions": order}
+    return {"doc_ids": ids, "doc_words": lens, "terms": pa.array(list(names), pa.binary()).cast(pa.string()), "counts": counts, "positions": order}
 
 
 def build_index(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row per block of about ``block_bytes`` of text (one document at least)."""
     tame_arrow(docs.sparkSession)
-    narrow = docs.select(F.col(doc_id).cast("long").alias("id"), F.col(text).alias("text"), F.xxhash64(text).alias("h"))
+    narrow = docs.select(F.col(doc_id).cast("long").alias("id"), F.col(text).cast("binary").alias("text"), F.xxhash64(text).alias("h"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in slices(batches, "text", block_bytes):
-            b = _block(part.column("id").to_pylist(), texts(part))
+            b = _block(part.column("id").to_pylist(), part.column("text").to_pylist())
             # gaps within a term compress well; the first is the position itself
             gaps = b["positions"].copy()
             first = starts_of(b["counts"])[:-1]
@@ -72,7 +73,7 @@ def build_index(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", blo
                     pa.array([b["doc_ids"]], pa.list_(pa.int64())),
                     pa.array([part.column("h").to_pylist()], pa.list_(pa.int64())),
                     pa.array([b["doc_words"]], pa.list_(pa.int32())),
-                    pa.array([b["terms"]], pa.list_(pa.string())),
+                    pa.ListArray.from_arrays(pa.array([0, len(b["terms"])], pa.int32()), b["terms"]),
                     pa.array([b["counts"].tobytes()]),
                     pa.array([gaps.tobytes()]),
                 ],
@@ -82,6 +83,14 @@ def build_index(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", blo
     return narrow.mapInArrow(run, _INDEX)
 
 
+def _rows(batch: pa.RecordBatch) -> Iterator[dict]:
+    """Rows of the index; their terms, as many as a block has different words, stay an Arrow array."""
+    at = batch.schema.get_field_index("terms")
+    terms = batch.column(at)
+    for i, row in enumerate(batch.remove_column(at).to_pylist()):
+        yield {**row, "terms": terms[i].values}
+
+
 class Postings:
     """A block of the index in memory."""
 
@@ -95,12 +104,17 @@ class Postings:
             begin = self.first[:-1]
             run -= np.repeat(run[begin] - gaps[begin], self.counts)
         self.positions = run
-        self.numbers = {t: i for i, t in enumerate(row["terms"])}
+        self.terms = row["terms"]
         self.bounds = starts_of(self.doc_words)
         self.total = int(self.bounds[-1])
         #: term * (total + 1) + position, sorted: membership of a shifted position in a list
         self.keys = np.repeat(np.arange(len(self.counts)), self.counts) * (self.total + 1) + self.positions
 
+    def numbers(self, words: list[str]) -> np.ndarray:
+        """The number of each word in this block, -1 where it does not occur."""
+        found = pc.index_in(pa.array(words, pa.string()), value_set=self.terms)
+        return pc.fill_null(found, -1).to_numpy(zero_copy_only=False).astype(np.int64)
+
     def has(self, term: np.ndarray, at: np.ndarray) -> np.ndarray:
         key = term * (self.total + 1) + at
         i = np.searchsorted(self.keys, key)
@@ -117,7 +131,7 @@ def find_phrases(p: Postings, phrases: np.ndarray, lengths: np.ndarray, vocabula
     """
     if not p.total or not len(phrases):
         return
-    local = np.asarray([p.numbers.get(t, -1) for t in vocabulary] + [-1], np.int64)
+    local = np.append(p.numbers(vocabulary), -1)
     terms = local[phrases]
     width = phrases.shape[1]
     used = np.arange(width) < lengths[:, None]
@@ -202,7 +216,7 @@ def phrase_hits(index: DataFrame, shared: Broadcast, only_hit: bool = False) ->
         for w, item in owner_pairs:
             owners[w].append(item)
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in _rows(batch):
                 p = Postings(row)
                 spans: dict[int, list[tuple[int, int]]] = defaultdict(list)
                 items: dict[int, set[str]] = defaultdict(set)
@@ -244,11 +258,12 @@ def proximity_hits(index: DataFrame, terms: list[str], span: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in batch.to_pylist():
+            for row in _rows(batch):
                 p = Postings(row)
-                if not wanted or any(t not in p.numbers for t in wanted):
+                numbers = p.numbers(wanted)
+                if not wanted or (numbers < 0).any():
                     continue
-                lists = [p.positions[p.first[i] : p.first[i + 1]] for i in (p.numbers[t] for t in wanted)]
+                lists = [p.positions[p.first[i] : p.first[i + 1]] for i in numbers.tolist()]
                 at = np.concatenate(lists)
                 kind = np.repeat(np.arange(len(lists)), [len(x) for x in lists])
                 order = np.argsort(at, kind="stable")

@@ -17,7 +17,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from cubegrid.llm import decontaminate, gif, language_id, line_dedup, mixing, near_dup, quality, registry, substring_dedup, token_counts, warc
-from cubegrid.llm.common import WordIds, shared_path, words_of
+from cubegrid.llm.common import WordIds, shared_path, word_bytes, words_of
 from cubegrid.llm.rindex import RunLengthIndex
 
 WORDS = "the and of in that river stone light paper green house under seven north again".split()
@@ -338,6 +338,13 @@ def test_contamination(spark, docs, odd):
     assert decontaminate.contamination(odd.limit(0), bench).count() == 0
 
 
+def test_words_of_bytes(docs, odd):
+    """Bytes are split into the words of the rule, whatever stands between and in them."""
+    every = " ".join(map(chr, range(0xD800))) + "".join(f"a{chr(c)}B" for c in range(0x3000)) + "\u2028Ö\U0001f600x"
+    for t in [every, "", "   ", *(t or "" for part in (docs, odd) for _, t in collected(part))]:
+        assert [w.decode() for w in word_bytes(t.encode())] == words_of(t)
+
+
 def test_proximity(spark):
     d = spark.createDataFrame([(1, "a x b c y a b"), (2, "c b"), (3, "a b")], "doc_id long, text string")
     got = sorted(map(tuple, decontaminate.proximity_hits(decontaminate.build_index(d), ["a", "b"], 3).collect()))
