@@ -602,6 +602,45 @@ def test_run_length_index(strings):
             at += 1
 
 
+@pytest.mark.parametrize("width", [2, 7, 8, 50])
+def test_index_equals_sorted_suffixes(width):
+    """Order, runs and ranks of the index against suffixes sorted one by one: repeats, ends and all bytes."""
+    rng = random.Random(width)
+    base = bytes(rng.choice(b"ab\x00\xff") for _ in range(150))
+    strings = [base[a : a + rng.randrange(1, 90)] for a in (rng.randrange(120) for _ in range(60))] + [b"a" * 80, b"a" * 79, bytes(range(256))]
+    lens = np.asarray(list(map(len, strings)))
+    index = RunLengthIndex(np.frombuffer(b"".join(strings), np.uint8), lens, width)
+    place = [(k, p) for k, s in enumerate(strings) for p in range(len(s) + 1)]
+    key = lambda x: [c + 1 for c in strings[x[0]][x[1] :]] + [0, x[0]]
+    order = sorted(place, key=key)
+    number = {x: i for i, x in enumerate(place)}
+    before = [strings[k][p - 1] if p else -1 for k, p in order]
+    assert index.run_byte[index.run_of].tolist() == before
+    assert [number[order[r - 1]] for r in index.close_row] == index.close_text.tolist()
+    # a class: equal in ``width`` symbols, or alone where the end comes first
+    classes = [strings[k][p : p + width] if p + width <= len(strings[k]) else (k, p) for k, p in order]
+    assert [i for i, c in enumerate(classes) if not i or c != classes[i - 1]] == index.open_row.tolist()
+    assert [number[x] for x in order[:-1]] == index.above(np.asarray([number[x] for x in order[1:]])).tolist()
+    row = np.arange(index.n + 1)
+    for c in (0, 97, 98, 255, 30):
+        assert index.rank(np.full(len(row), c), row).tolist() == np.cumsum([0, *(b == c for b in before)]).tolist()
+
+
+def test_lookup_searches_only_beside_runs(monkeypatch):
+    """Where a run tells the rank nothing is searched: a step in few thousand rows searches for few."""
+    rng = random.Random(9)
+    base = prose(rng, 900).encode()
+    strings = [base[a : a + 70] for a in range(0, len(base) - 70, 7)]
+    searched = [0, 0]
+    plain, whole = RunLengthIndex._rank_before, RunLengthIndex.rank
+    monkeypatch.setattr(RunLengthIndex, "_rank_before", lambda self, c, r: (searched.__setitem__(0, searched[0] + len(r)), plain(self, c, r))[1])
+    monkeypatch.setattr(RunLengthIndex, "rank", lambda self, c, r: (searched.__setitem__(1, searched[1] + len(r)), whole(self, c, r))[1])
+    got = substring_dedup.look_up(b"".join(strings), np.asarray(list(map(len, strings))), np.arange(len(strings)), 50)
+    first: dict[bytes, int] = {}
+    want = [first.setdefault(s[p : p + 50], k) < k for k, s in enumerate(strings) for p in range(len(s) - 49)]
+    assert got.tolist() == want and 0 < 2 * searched[0] < searched[1]
+
+
 def test_stretches_with_clashing_keys_stay_apart(monkeypatch):
     """Within a block, stretches are equal only if their minimizers are as well."""
     rng = random.Random(5)
