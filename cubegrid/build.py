@@ -44,9 +44,11 @@ def cell_order(policy: SplitPolicy, layout: str) -> list[Column]:
     return [F.col(c) for c in columns]
 
 
-def reorganise(df: DataFrame, policy: SplitPolicy, path: str, files: int | None = None, layout: str = "lex", salt: int = 1, compression: str = "zstd", row_group_bytes: int | None = None, page_rows: int = PAGE_ROWS) -> None:
+def reorganise(df: DataFrame, policy: SplitPolicy, path: str, files: int | None = None, layout: str = "lex", salt: int = 1, compression: str = "zstd", row_group_bytes: int | None = None, page_rows: int = PAGE_ROWS, copies: int = 1) -> None:
     """Write rows sorted by cell: a range shuffle, so a cell lies in one file unless salted.
 
+    Of every row ``copies`` are written, made behind the shuffle and the sort: copies of a row stand side by side.
+
     ``salt`` above 1 lets a cell with very many rows spread over several files; its entry then has
     several segments, which readers merge.
     """
@@ -54,7 +56,11 @@ def reorganise(df: DataFrame, policy: SplitPolicy, path: str, files: int | None
     spread = [F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in df.columns]), F.lit(salt))] if salt > 1 else []
     cells = assign_cells(df, policy)
     dealt = cells.repartitionByRange(files, *keys, *spread) if files else cells.repartitionByRange(*keys, *spread)
-    writer = dealt.sortWithinPartitions(*keys).write.option("compression", compression).option("parquet.page.row.count.limit", page_rows)
+    rows = dealt.sortWithinPartitions(*keys)
+    if copies > 1:  # a generator keeps the order of its rows
+        names = rows.columns
+        rows = rows.select("*", F.explode(F.array_repeat(F.lit(0), copies))).select(*[f"`{c}`" for c in names])
+    writer = rows.write.option("compression", compression).option("parquet.page.row.count.limit", page_rows)
     if row_group_bytes:
         writer = writer.option("parquet.block.size", row_group_bytes)
     writer.parquet(path)
