@@ -69,6 +69,18 @@ def test_joins_take_every_row_of_the_tables(spark):
     assert catalogue.QUERIES["op_join_asof"](spark, SF001).count() == at["orders"]
 
 
+def test_table_function_lists_cells_of_the_table(spark, tmp_path):
+    """The worked geometry has nine cells and one inner; the query lists cells of the boxes of the customers it reads."""
+    from cubegrid.functions.udx import CellsInBox
+
+    cells = [(a, b, (a, b) == (2, 1)) for a in (1, 2, 3) for b in (0, 1, 2)]
+    assert list(CellsInBox().eval(1, 3, 5, 12, 11, 2, 12, 16)) == cells
+    spark.createDataFrame([(0, 0), (994, 3), (40, None), (None, 2)], "c_custkey long, c_nationkey int").write.parquet(f"{tmp_path}/customer.parquet")
+    got = sorted(map(tuple, catalogue.QUERIES["fn_udtf_cells"](spark, str(tmp_path)).collect()))
+    # customer 0 covers users 5 to 704 and 12 to 15 of the other, customer 994 users 999 to 1698 and 15 to 18
+    assert got == [(0, 0, 1, 0), (0, 1, 1, 0), (0, 2, 1, 0), (1, 0, 1, 0), (1, 1, 1, 0), (1, 2, 2, 0), (1, 3, 1, 0), (2, 2, 1, 1), (2, 3, 1, 1), (3, 2, 1, 0), (3, 3, 1, 0)]
+
+
 def test_amplification_of_empty_answers(spark, tmp_path):
     """No reading in the point box, readings without a user: ratios over nothing as SQL has them."""
     moment = datetime(2024, 1, 3)
