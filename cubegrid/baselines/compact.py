@@ -66,6 +66,14 @@ class CompactIndex:
     def records_read(self, ranges) -> DataFrame:
         return self.block_rows(ranges).agg(F.count("*").alias("records_read"))
 
+    def records_read_by(self, queries: dict[str, tuple[Range, ...]]) -> DataFrame:
+        """One row with a column for each of several queries: their records read, by one pass over index and base."""
+        hit = {name: condition(self.policy, [r for r in ranges if r.name in self.dims]) for name, ranges in queries.items()}
+        blocks = self.index.select("file", F.explode("blocks").alias("block"), *[c.alias(name) for name, c in hit.items()])
+        blocks = blocks.groupBy("file", "block").agg(*[F.bool_or(name).alias(name) for name in hit])
+        rows = self.base.groupBy("file", "block").agg(F.count("*").alias("__n")).join(blocks, ["file", "block"])
+        return rows.agg(*[F.coalesce(F.sum(F.when(F.col(name), F.col("__n"))), F.lit(0)).alias(name) for name in hit])
+
     def stats(self) -> DataFrame:
         """Distinct tuples, index rows and (tuple, block) pairs: how near the index is to the table."""
         return self.index.agg(F.count_distinct(F.struct(*self.dims)).alias("tuples"), F.count("*").alias("index_rows"), F.coalesce(F.sum(F.size("blocks")), F.lit(0)).alias("tuple_blocks"))

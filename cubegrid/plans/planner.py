@@ -63,6 +63,12 @@ class Plan:
         hands out is ``measures.scan_footprint``: these, but for the ends of pages."""
         return self.read_cells().agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("records_read"))
 
+    def read_sql(self) -> str:
+        """The condition on entries that ``read_cells`` applies."""
+        if self.box.is_empty:
+            return "false"
+        return f"({self._touched()}) AND NOT ({self._inside()})" if self.headers else self._touched()
+
     def stats(self) -> DataFrame:
         """Related, inner and boundary cells with their rows."""
         keys = self.grid.policy.columns
@@ -93,6 +99,13 @@ class Plan:
         return self.run()._jdf.queryExecution().explainString(self.grid.spark._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))
 
 
+def records_read_by(plans: dict[str, Plan]) -> DataFrame:
+    """One row with a column for each of several plans of one grid: their records read, by one pass over the catalog."""
+    asked = {name: f"({p.read_sql()})" for name, p in plans.items()}
+    entries = next(iter(plans.values())).grid.entries().where(" OR ".join(asked.values()))
+    return entries.agg(*[F.coalesce(F.sum(F.when(F.expr(c), F.col("n"))), F.lit(0)).cast("long").alias(name) for name, c in asked.items()])
+
+
 def header_answerable(query: GridQuery, headers: list[Header], policy) -> tuple[bool, str]:
     """Whether inner cells can be answered from headers, and why not."""
     if not query.aggs:

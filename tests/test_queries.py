@@ -4,13 +4,15 @@ from __future__ import annotations
 
 import importlib
 import sys
-from datetime import datetime, timedelta
+from datetime import date, datetime, timedelta
 
 import oracle
 import pytest
 from conftest import SF001, SF01
 
 from cubegrid import catalogue, workloads
+from cubegrid.plans.planner import GridQuery, records_read_by
+from cubegrid.plans.predicate import Range
 
 
 @pytest.fixture(scope="module")
@@ -95,6 +97,26 @@ def test_amplification_of_empty_answers(spark, tmp_path):
     assert {r.selectivity for r in got.where("query = 'point'").collect()} == {0.0}
 
 
+def test_reads_go_through_each_table_once(spark):
+    """Three catalogs, the index with the readings, and the exact counts: no plan for each figure, which the driver would hold all at once."""
+    leaves = lambda name: catalogue.QUERIES[name](spark, SF001)._jdf.queryExecution().optimizedPlan().collectLeaves().size()
+    assert leaves("reads_agg_meter") == leaves("reads_group_meter_large") == 6
+    assert leaves("measure_amplification_meter") == 7  # and all events
+
+
+def test_reads_of_several_queries_at_once(spark):
+    """One pass gives what each query gives by itself, empty boxes and free dimensions too."""
+    boxes = {sel: workloads.box(sel) for sel in (*workloads.SELECTIVITIES, "partial")}
+    boxes |= {"none": workloads.box("point")[:2] + (Range.open("day", date(2024, 1, 20), date(2024, 1, 20)),), "late": (Range.eq("day", date(2025, 1, 1)),), "all": ()}
+    grid = workloads.meter_grid(spark, SF001, "grid_m")
+    plans = {f"{sel}_{headers}": grid.plan(GridQuery(ranges, workloads.SUM), headers=headers) for sel, ranges in boxes.items() for headers in (False, True)}
+    got = records_read_by(plans).first().asDict()
+    assert got == {name: plan.records_read().first()[0] for name, plan in plans.items()} and got["all_False"] == 1000
+    compact = workloads.meter_compact(spark, SF001)
+    got = compact.records_read_by(boxes).first().asDict()
+    assert got == {name: compact.records_read(ranges).first()[0] for name, ranges in boxes.items()} and got["none"] == got["late"] == 0
+
+
 SF1 = "/root/testdata/sf0.1"  # 100,000 events
 AT_SF1 = ["agg_p05_grid_m", "agg_p12_scan", "group_point_compact", "join_p05_sharded", "grid_cells_meter_l", "reads_agg_meter", "measure_amplification_meter", "extra_pred_grid_m", "grid_sql_select", "grid_sql_create", "partition_compact_agg", "append_equals_rebuild"]
 AT_SF1_LARGE = ["agg_p05_grid_m_large", "agg_p12_scan_large", "group_p05_grid_l_large", "join_point_grid_s_large", "partial_grid_l_large", "grid_cells_meter_m_large", "reads_group_meter_large"]
